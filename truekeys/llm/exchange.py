@@ -1,4 +1,4 @@
-"""Plumbing shared by the operators: staged tables, document blocks, and packed posting exchanges.
+"""Plumbing shared by the operators: document blocks, gapless ranks, and packed posting exchanges.
 
 Three of the operators ask one question of the whole corpus: "which of my keys (anchors, windows, lines, signature
 coordinates) also occur elsewhere, and where first?".  They answer it with the same three steps, which keep a hot key
@@ -14,37 +14,19 @@ harmless and move few bytes:
 from __future__ import annotations
 
 import math
-import tempfile
-import uuid
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.staging import staged as staged  # noqa: PLC0414  the operators take it from here
+
 #: Documents in one block, and documents whose postings one key shard receives, on average.
 BLOCK_ROWS, SHARD_ROWS = 1024, 4096
 POSTING = "_shard int, _block int, c0 binary, c1 binary, c2 binary"
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The cluster's folder for cut lineage (spark.checkpoint.dir); one of our own only where none is set, as in tests."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not folder:
-        folder = getattr(spark, "_truekeys_folder", None)
-        if folder is None:
-            folder = spark._truekeys_folder = "file://" + tempfile.mkdtemp(prefix="truekeys-")
-    return folder.rstrip("/")
-
-
-def staged(df: DataFrame) -> DataFrame:
-    """df written as a table in the shared folder and read again: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/staged-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def counts(docs: DataFrame) -> tuple[int, int]:
     """(blocks, shards) for the number of rows: both grow in proportion, so that their sizes stay bounded."""
     n = docs.count()

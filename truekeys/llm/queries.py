@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, line_dedup, packing, quality_rules, sharding, substring_dedup
+from . import fingerprints, licences, line_dedup, minhash, packing, quality_classifier, quality_rules, sentencepiece_codec, sharding, substring_dedup
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,6 +16,15 @@ def _sha(column: str) -> F.Column:
     return F.sha2(F.col(column).cast("binary"), 256)
 
 
+def op1_sentencepiece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sentencepiece_codec.round_trip(documents(spark, sf_dir))
+
+
+def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    return quality_classifier.classify(docs, quality_classifier.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+
+
 def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir))
 
@@ -33,6 +42,14 @@ def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "n_removed", _sha("kept_words").alias("kept_sha256"))
 
 
+def op7_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.licence_scan(documents(spark, sf_dir))
+
+
+def op8_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(documents(spark, sf_dir))
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = line_dedup.line_dedup(documents(spark, sf_dir))
     return out.select("doc_id", "n_lines", "n_dropped", _sha("kept_text").alias("kept_sha256"))
@@ -42,6 +59,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.quality_rules(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op3_best_fit_packing, op4_hash_tree_sharding, op5_exact_fingerprints, op6_substring_dedup, op9_line_dedup, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_sentencepiece_codec, op2_quality_classifier, op3_best_fit_packing, op4_hash_tree_sharding, op5_exact_fingerprints, op6_substring_dedup, op7_licence_scan, op8_minhash_near_dedup, op9_line_dedup, op10_quality_rules)}
 
-ORACLES = {"op4_hash_tree_sharding": sharding.oracle()}
+ORACLES = {"op4_hash_tree_sharding": sharding.oracle(), "op7_licence_scan": licences.oracle()}
