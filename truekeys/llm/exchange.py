@@ -17,7 +17,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.staging import staged as staged  # noqa: PLC0414  the operators take it from here
@@ -37,6 +37,22 @@ def with_block(docs: DataFrame, blocks: int, key: str = "doc_id") -> DataFrame:
     return docs.withColumn("_block", F.pmod(F.xxhash64(key), F.lit(blocks)).cast("int"))
 
 
+def carried(docs: DataFrame, keep: bool) -> tuple[DataFrame, list[str], str]:
+    """(docs with the other columns under safe names, those names, their schema text) for operators that pass rows on."""
+    others = [c for c in docs.columns if c not in ("doc_id", "text")] if keep else []
+    renamed = docs.select("doc_id", "text", *(F.col(f"`{c}`").alias(f"_keep{i}") for i, c in enumerate(others)))
+    return renamed, [f"_keep{i}" for i in range(len(others))], "".join(f", _keep{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(others))
+
+
+def passed_on(docs: DataFrame, result: DataFrame, text: Column) -> DataFrame:
+    """The rows of docs with another text (and its n_chars, if docs has that), from a result with carried columns."""
+    others = [c for c in docs.columns if c not in ("doc_id", "text")]
+    new = {"doc_id": F.col("doc_id"), "text": text.alias("text")} | {c: F.col(f"_keep{i}").alias(c) for i, c in enumerate(others)}
+    if "n_chars" in others:
+        new["n_chars"] = F.length(text).cast(docs.schema["n_chars"].dataType).alias("n_chars")
+    return result.select(*(new[c] for c in docs.columns))
+
+
 def scatter(block: int, key: np.ndarray, columns: list[np.ndarray], shards: int) -> pa.Table:
     """Postings of one block as packed rows, one for each shard that gets any. key: uint64, chooses the shard."""
     shard = (key % np.uint64(shards)).astype(np.uint16 if shards <= 1 << 16 else np.int64)
@@ -69,7 +85,7 @@ def empty(schema: pa.Schema | None = None) -> pa.Table:
     return schema.empty_table()
 
 
-def range_bucket(df: DataFrame, column: str, rows: int, most: int = 200_000, knots: int = 32) -> F.Column:
+def range_bucket(df: DataFrame, column: str, rows: int, most: int = 200_000, knots: int = 32) -> Column:
     """A bucket number that rises with the numeric column, with about ``rows`` rows in each of at most ``most`` buckets.
 
     Knots at approximate quantiles keep buckets even when ids are not; between two knots buckets are equally wide.
@@ -84,7 +100,7 @@ def range_bucket(df: DataFrame, column: str, rows: int, most: int = 200_000, kno
         wide = max((high - low) / steps, 1e-300)
         own = (F.lit(i * steps) + F.greatest(F.lit(0), F.least(F.lit(steps - 1), F.floor((x - low) / wide)))).cast("int")
         out = own if out is None else F.when(x < high, own).otherwise(out)
-    return F.coalesce(out, F.lit(-1))
+    return F.when(F.col(column).isNull(), F.lit(-1)).otherwise(out)
 
 
 def ranked(df: DataFrame, group: str, order: list[str], name: str, rows: int = 16384) -> DataFrame:

@@ -164,21 +164,21 @@ def best_fit(left: dict[int, int], capacity: int) -> list[tuple[tuple[int, ...],
     return [(p, n) for by in rooms.values() for p, n in by.items()]
 
 
-def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[int, ...], int]]:
-    """(pattern, repeats) that use up the histogram {length: pieces} exactly."""
-    left = {k: v for k, v in histogram.items() if v and k < capacity}
-    out = [((capacity,), histogram[capacity])] if histogram.get(capacity) else []
+def fitted(histogram: dict[int, int], capacity: int, most: int) -> list[tuple[tuple[int, ...], int]]:
+    """A plan whose exact patterns have at most ``most`` pieces: pairs are fitted first, triples to what they leave."""
+    left, out = dict(histogram), []
     found = fills(list(left), capacity) if left else np.empty((0, 3), np.int64)
-    if len(found):
+    pairs = found[:, 2] == 0
+    for patterns in [found[pairs], found[~pairs]][: most - 1]:
+        if not len(patterns):
+            continue
         target = np.zeros(capacity + 1)
         target[list(left)] = list(left.values())
-        x = nnls(found, target)
-        for i in np.argsort(-x, kind="stable"):
-            if x[i] <= 1e-6:
-                break
-            pattern = tuple(int(v) for v in found[i] if v)
+        x = nnls(patterns, target)
+        for i in np.lexsort((-x, -patterns.max(1))):
+            pattern = tuple(int(v) for v in patterns[i] if v)
             need = {v: pattern.count(v) for v in pattern}
-            k = min(int(np.ceil(x[i] - 0.5)) or 1, *(left[v] // c for v, c in need.items()))
+            k = min(int(x[i] + 0.5), *(left[v] // c for v, c in need.items()))
             if k > 0:
                 out.append((pattern, k))
                 for v, c in need.items():
@@ -186,6 +186,17 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tupl
     return out + best_fit({k: v for k, v in left.items() if v}, capacity)
 
 
+def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[int, ...], int]]:
+    """(pattern, repeats) that use up the histogram {length: pieces} exactly.
+
+    Exact triples save sequences where pieces are short, and cost some where they take the pieces that large ones need;
+    both fits are made and the one with fewer sequences is taken.
+    """
+    short = {k: v for k, v in histogram.items() if v and k < capacity}
+    best = min((fitted(short, capacity, most) for most in (2, 3)), key=lambda x: sum(n for _, n in x))
+    return ([((capacity,), histogram[capacity])] if histogram.get(capacity) else []) + best
+
+
 def places(planned: list[tuple[tuple[int, ...], int]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(key, sequence, offset) of every run of ranks, sorted by key = length * 2**40 + first rank."""
     taken: dict[int, int] = defaultdict(int)
