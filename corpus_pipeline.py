@@ -11,36 +11,29 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from truekeys.llm import line_dedup, minhash, packing, quality_rules, substring_dedup
-from truekeys.llm.exchange import staged
-
-
-def _with_text(docs: DataFrame, changed: DataFrame, column: str) -> DataFrame:
-    """docs with another text, and its number of characters, by doc_id."""
-    new = changed.select("doc_id", F.col(column).alias("_text"))
-    return docs.drop("text", "n_chars").join(new, "doc_id").select(*(F.col("_text").alias("text") if c == "text" else F.length("_text").cast("long").alias("n_chars") if c == "n_chars" else F.col(c) for c in docs.columns))
+from truekeys.llm.exchange import passed_on, staged
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rules reject go."""
-    kept = quality_rules.quality_rules(docs).where("kept").select("doc_id")
-    return docs.join(kept, "doc_id", "left_semi").select(docs.columns)
+    return quality_rules.kept_documents(docs)
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines found in three documents or more stay in one of them."""
-    return _with_text(docs, line_dedup.line_dedup(docs), "kept_text")
+    return passed_on(docs, line_dedup.line_dedup(docs, keep=True), F.col("kept_text"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group stays: five-word shingles, similarity 0.8 or more."""
-    kept = minhash.near_duplicates(docs, minhash.MinHash(shingle=5)).where("kept").select("doc_id")
-    return docs.join(kept, "doc_id", "left_semi").select(docs.columns)
+    gone = minhash.near_duplicates(docs, minhash.MinHash(shingle=5)).where("not kept").select(F.col("doc_id").alias("_gone"))
+    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti").select(docs.columns)
 
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Words of repeated passages go, and documents of which nothing is left."""
-    out = substring_dedup.substring_dedup(docs).where("n_removed = 0 or n_removed < n_words")
-    return _with_text(docs, out, "kept_text")
+    out = substring_dedup.substring_dedup(docs, keep=True).where("n_removed = 0 or n_removed < n_words")
+    return passed_on(docs, out, F.col("kept_text"))
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

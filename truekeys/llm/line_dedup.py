@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from xxhash import xxh3_128_digest
 
-from .exchange import POSTING, counts, empty, packed, scatter, unpacked, with_block
+from .exchange import POSTING, carried, counts, empty, packed, scatter, unpacked, with_block
 from .text import BLANKS, among, grouped, mix
 
 KEY = np.dtype([("a", "<u8"), ("b", "<u8")])
@@ -218,10 +218,11 @@ def verdicts(references: DataFrame, min_docs: int) -> DataFrame:
     return references.groupBy("_shard").applyInArrow(run, POSTING)
 
 
-def line_dedup(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, n_lines (before), n_dropped, kept_text."""
+def line_dedup(docs: DataFrame, min_chars: int = 20, min_docs: int = 3, keep: bool = False) -> DataFrame:
+    """docs(doc_id, text) -> doc_id, n_lines (before), n_dropped, kept_text, and with ``keep`` the other columns."""
     blocks, shards = counts(docs)
-    dealt = with_block(docs.select("doc_id", "text"), blocks)
+    rows, others, schema = carried(docs, keep)
+    dealt = with_block(rows, blocks)
     verdict = verdicts(postings(dealt, shards, min_chars), min_docs)
 
     def run(docs: pa.Table, verdict: pa.Table) -> pa.Table:
@@ -236,10 +237,10 @@ def line_dedup(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataF
             n_lines.append(len(lines))
             n_dropped.append(len(lines) - len(stay))
             kept.append("\n".join(stay))
-        return pa.table({"doc_id": docs.column("doc_id"), "n_lines": pa.array(n_lines, pa.int64()), "n_dropped": pa.array(n_dropped, pa.int64()), "kept_text": pa.array(kept, pa.string())})
+        return pa.table({"doc_id": docs.column("doc_id"), "n_lines": pa.array(n_lines, pa.int64()), "n_dropped": pa.array(n_dropped, pa.int64()), "kept_text": pa.array(kept, pa.string())} | {c: docs.column(c) for c in others})
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return dealt.groupBy("_block").cogroup(verdict.groupBy("_block")).applyInArrow(run, f"doc_id {kind}, n_lines long, n_dropped long, kept_text string")
+    return dealt.groupBy("_block").cogroup(verdict.groupBy("_block")).applyInArrow(run, f"doc_id {kind}, n_lines long, n_dropped long, kept_text string{schema}")
 
 
 # The index as a table: what incremental runs keep between batches of documents.

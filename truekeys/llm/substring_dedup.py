@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .exchange import POSTING, counts, empty, packed, scatter, unpacked, with_block
+from .exchange import POSTING, carried, counts, empty, packed, scatter, unpacked, with_block
 from .text import among, covered, grouped, mix, windows, word_hashes, words
 
 NO_ID = -(1 << 63)
@@ -145,13 +145,15 @@ def _found_twice(keys: np.ndarray) -> np.ndarray:
     return out
 
 
-def substring_dedup(docs: DataFrame, cover: Cover = Cover()) -> DataFrame:
+def substring_dedup(docs: DataFrame, cover: Cover = Cover(), keep: bool = False) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_words, n_removed, kept_words (kept words joined by one blank), kept_text.
 
     kept_text is the text as it was if nothing was removed; else each kept word with the blanks before it.
+    keep: the other columns as well.
     """
     blocks, shards = counts(docs)
-    dealt = with_block(docs.select("doc_id", "text"), blocks)
+    rows, others, schema = carried(docs, keep)
+    dealt = with_block(rows, blocks)
     by_block = dealt.groupBy("_block")
 
     def post_anchors(table: pa.Table) -> pa.Table:
@@ -199,12 +201,13 @@ def substring_dedup(docs: DataFrame, cover: Cover = Cover()) -> DataFrame:
             tokens = words(text)
             kept_words.append(b" ".join([w for w, x in zip(tokens, out.tolist(), strict=True) if not x] if n_removed[-1] else tokens).decode("utf-8", "surrogatepass"))
             kept_text.append(_without(text, out) if n_removed[-1] else text)
-        return pa.table({"doc_id": table.column("doc_id").take(pa.array(block.order, pa.int64())), "n_words": pa.array(block.sizes), "n_removed": pa.array(n_removed, pa.int64()), "kept_words": pa.array(kept_words, pa.string()), "kept_text": pa.array(kept_text, pa.string())})
+        order = pa.array(block.order, pa.int64())
+        return pa.table({"doc_id": table.column("doc_id").take(order), "n_words": pa.array(block.sizes), "n_removed": pa.array(n_removed, pa.int64()), "kept_words": pa.array(kept_words, pa.string()), "kept_text": pa.array(kept_text, pa.string())} | {c: table.column(c).take(order) for c in others})
 
     shared = by_block.applyInArrow(post_anchors, POSTING).groupBy("_shard").applyInArrow(match_anchors, POSTING)
     later = by_block.cogroup(shared.groupBy("_block")).applyInArrow(post_windows, POSTING).groupBy("_shard").applyInArrow(match_windows, POSTING)
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return by_block.cogroup(later.groupBy("_block")).applyInArrow(remove, f"doc_id {kind}, n_words long, n_removed long, kept_words string, kept_text string")
+    return by_block.cogroup(later.groupBy("_block")).applyInArrow(remove, f"doc_id {kind}, n_words long, n_removed long, kept_words string, kept_text string{schema}")
 
 
 _WORD = re.compile(rb"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+")
