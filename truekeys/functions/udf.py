@@ -7,17 +7,18 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def majority(values: pd.Series) -> str:
     """The most frequent value, ties to the least."""
     counts = values.dropna().value_counts()
     return min(counts[counts == counts.max()].index) if len(counts) else None
 
 
-@udtf(returnType="sk long, valid_from timestamp_ntz, value double")
+@udtf(returnType=T.StructType([T.StructField("sk", T.LongType()), T.StructField("valid_from", T.TimestampNTZType()), T.StructField("value", T.DoubleType())]))
 class Compacted:
     """Versions that differ from the one before, for a table partitioned by sk and ordered by time."""
 
