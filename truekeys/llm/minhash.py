@@ -12,7 +12,9 @@ groups of near copies and are split by salt.
 
 Only connections matter, so a list proposes a tree over its similar members, not all pairs.  Proposals are confirmed on
 the full shingle sets.  A second round then looks for links between different components: every pair in a list whose
-members are in different components is counted and confirmed, so no link between components is lost.
+members are in different components is counted, and those that collide enough are confirmed, so no link between
+components is lost.  There a document that stands apart meets the members of a group block by block, one row for each
+block with the numbers of its members, and one link to a component is enough; pairs are never written out.
 
 A link needs 100 * intersection >= percent * union; at exactly 0.8, 64 coordinates miss the 36 matches with a
 probability below 1e-5.  Defined results: a text without words has an empty set and no links; fewer words than a
@@ -30,7 +32,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from xxhash import xxh3_128_intdigest
+from xxhash import xxh3_128_intdigest, xxh64_intdigest
 
 from ..operators.components import connected_components
 from .exchange import POSTING, counts, empty, packed, scatter, staged, unpacked, with_block
@@ -109,9 +111,9 @@ def coordinate_keys(sigs: np.ndarray) -> np.ndarray:
 
 
 def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
-    """reps(doc_id, sig) -> key, freq, doc, sketch: the rarest shared keys of every representative."""
+    """reps(doc_id, n, sig) -> key, freq, doc, n, sketch: the rarest shared keys of every representative."""
     blocks, shards = counts(reps)
-    dealt = with_block(reps.select("doc_id", "sig"), blocks)
+    dealt = with_block(reps.select("doc_id", "n", "sig"), blocks)
     by_block = dealt.groupBy("_block")
 
     def count_keys(table: pa.Table) -> pa.Table:
@@ -128,7 +130,7 @@ def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
 
     def choose(table: pa.Table, verdict: pa.Table) -> pa.Table:
         if not table.num_rows:
-            return _postings([], [], [], [])
+            return _postings([], [], [], [], [])
         _, (known, f) = unpacked(verdict, ["<u8", "<u4"], "_block")
         order = np.argsort(known)
         known, f = known[order], f[order]
@@ -144,15 +146,15 @@ def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
         shared = freq[row, col] > 1
         row, col = row[shared], col[shared]
         sketch = [x.tobytes() for x in (sigs & 255).astype("u1")]
-        docs = table.column("doc_id").to_numpy()
-        return _postings(keys[row, col].view(np.int64), freq[row, col], docs[row], [sketch[i] for i in row])
+        docs, n = table.column("doc_id").to_numpy(), table.column("n").to_numpy()
+        return _postings(keys[row, col].view(np.int64), freq[row, col], docs[row], n[row], [sketch[i] for i in row])
 
     verdict = by_block.applyInArrow(count_keys, POSTING).groupBy("_shard").applyInArrow(total, POSTING)
-    return by_block.cogroup(verdict.groupBy("_block")).applyInArrow(choose, "key long, freq long, doc long, sketch binary")
+    return by_block.cogroup(verdict.groupBy("_block")).applyInArrow(choose, "key long, freq long, doc long, n long, sketch binary")
 
 
-def _postings(key, freq, doc, sketch) -> pa.Table:  # noqa: ANN001
-    return pa.table({"key": pa.array(key, pa.int64()), "freq": pa.array(freq, pa.int64()), "doc": pa.array(doc, pa.int64()), "sketch": pa.array(sketch, pa.binary())})
+def _postings(key, freq, doc, n, sketch) -> pa.Table:  # noqa: ANN001
+    return pa.table({"key": pa.array(key, pa.int64()), "freq": pa.array(freq, pa.int64()), "doc": pa.array(doc, pa.int64()), "n": pa.array(n, pa.int64()), "sketch": pa.array(sketch, pa.binary())})
 
 
 def _lists(table: pa.Table) -> Iterator[np.ndarray]:
@@ -165,6 +167,20 @@ def _lists(table: pa.Table) -> Iterator[np.ndarray]:
             yield part
 
 
+class _Members:
+    """The members that a shard received: documents, set sizes and sketches."""
+
+    def __init__(self, table: pa.Table, p: MinHash) -> None:
+        self.p = p
+        self.sketch, self.docs, self.size = _matrix(table.column("sketch"), "u1", p.coords), table.column("doc").to_numpy(), table.column("n").to_numpy()
+
+    def collisions(self, rows: np.ndarray, other: np.ndarray) -> np.ndarray:
+        """Collisions of each row with the other (one, or one each); 0 where the set sizes rule a link out."""
+        n = (self.sketch[rows] == self.sketch[other]).sum(1)
+        small, large = np.minimum(self.size[rows], self.size[other]), np.maximum(self.size[rows], self.size[other])
+        return np.where(100 * small >= self.p.percent * large, n, 0)
+
+
 def _pairs(rows: list[tuple[int, int, int]]) -> pa.Table:
     a, b, n = zip(*rows, strict=True) if rows else ((), (), ())
     return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "n": pa.array(n, pa.int32())})
@@ -178,16 +194,16 @@ def trees(postings: DataFrame, p: MinHash, shards: int) -> DataFrame:
     """Candidate links a < b: in each list a tree of bounded fan-out over members that collide often enough."""
 
     def run(table: pa.Table) -> pa.Table:
-        sketch, docs = _matrix(table.column("sketch"), "u1", p.coords), table.column("doc").to_numpy()
-        found: dict[tuple[int, int], int] = {}
+        own_rows, found = _Members(table, p), {}
+        docs = own_rows.docs
         for alive in _lists(table):
             while len(alive) > 1:
-                n = (sketch[alive] == sketch[alive[0]]).sum(1)
+                n = own_rows.collisions(alive, alive[0])
+                n[0] = p.coords
                 own, alive = alive[n >= p.matches], alive[n < p.matches]
                 up = own[np.maximum(np.arange(len(own)) - 1, 0) // p.fan_out]
-                n = (sketch[own] == sketch[up]).sum(1)
-                up = np.where(n >= p.matches, up, own[0])
-                n = np.where(up == own[0], (sketch[own] == sketch[own[0]]).sum(1), n)
+                up = np.where(own_rows.collisions(own, up) >= p.matches, up, own[0])
+                n = own_rows.collisions(own, up)
                 found.update(((x, y), k) for x, y, k in zip(docs[up[1:]].tolist(), docs[own[1:]].tolist(), n[1:].tolist(), strict=True) if x != y)
         return _pairs([(x, y, k) for (x, y), k in found.items()])
 
@@ -197,38 +213,95 @@ def trees(postings: DataFrame, p: MinHash, shards: int) -> DataFrame:
     return best.select((-F.col("x.a")).alias("a"), "b")
 
 
-def across(postings: DataFrame, labels: DataFrame, p: MinHash, shards: int) -> DataFrame:
-    """Candidate links a < b between components: all pairs in a list that collide often enough.
+def block_of(doc: int, blocks: int) -> int:
+    """The block that Spark's xxhash64 gives a document, for use inside a task."""
+    h = xxh64_intdigest(doc.to_bytes(8, "little", signed=True), 42)
+    return (h - (1 << 64) if h >= 1 << 63 else h) % blocks
+
+
+def mixed_lists(postings: DataFrame, labels: DataFrame, p: MinHash) -> DataFrame:
+    """Postings of the lists with members of different components, with root (component) and part.
 
     Of a list split by salt, members of its most frequent component stay in their part, the others go to every part.
     """
     marked = postings.join(labels.select(F.col("node").alias("doc"), "root"), "doc", "left").withColumn("root", F.coalesce("root", "doc"))
-    mixed = marked.groupBy("key", "root").count().groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("major"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    mixed = marked.groupBy("key", "root").count().groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("major"), F.count(F.lit(1)).alias("n_roots")).where("n_roots > 1")
     rows = marked.join(mixed.select("key", "major"), "key")
     parts = F.ceil(F.col("freq") / p.list_rows).cast("int")
     own = F.pmod(F.xxhash64("doc", "key"), parts).cast("int")
-    spread = rows.withColumn("part", F.explode(F.when(F.col("root") == F.col("major"), F.array(own)).otherwise(F.sequence(F.lit(0), parts - 1))))
+    spread = F.explode(F.when(F.col("root") == F.col("major"), F.array(own)).otherwise(F.sequence(F.lit(0), parts - 1)))
+    return rows.withColumn("part", spread).select("key", "doc", "n", "sketch", "root", "part")
+
+
+def across(mixed: DataFrame, p: MinHash, shards: int, blocks: int) -> DataFrame:
+    """x, block, ys: documents of other components that collide with x often enough, (document, root) by their block."""
 
     def run(table: pa.Table) -> pa.Table:
-        sketch, docs, root = _matrix(table.column("sketch"), "u1", p.coords), table.column("doc").to_numpy(), table.column("root").to_numpy()
-        found: dict[tuple[int, int], int] = {}
+        rows, root = _Members(table, p), table.column("root").to_numpy()
+        found: dict[tuple[int, int], set[tuple[int, int]]] = {}
         for own in _lists(table):
             common = np.unique(root[own], return_counts=True)
-            stray = own[root[own] != common[0][common[1].argmax()]]  # pairs of different components have one of these
-            for i in stray:
-                hit = own[(root[own] != root[i]) & ((sketch[own] == sketch[i]).sum(1) >= p.matches)]
-                found.update(((min(x, int(docs[i])), max(x, int(docs[i]))), 0) for x in docs[hit].tolist())
-        return _pairs([(*x, 0) for x in found])
-
-    return _sharded(spread, F.col("part"), shards).groupBy("_shard").applyInArrow(run, "a long, b long, n int").select("a", "b").distinct()
+            for i in own[root[own] != common[0][common[1].argmax()]]:  # pairs of different components have one of these
+                hit = own[(root[own] != root[i]) & (rows.collisions(own, i) >= p.matches)]
+                for y, r in zip(rows.docs[hit].tolist(), root[hit].tolist(), strict=True):
+                    found.setdefault((int(rows.docs[i]), block_of(y, blocks)), set()).add((y, r))
+        x, block = zip(*found, strict=True) if found else ((), ())
+        return pa.table({"x": pa.array(x, pa.int64()), "block": pa.array(block, pa.int32()), "ys": pa.array([np.array(sorted(v), np.int64).tobytes() for v in found.values()], pa.binary())})
+
+    return _sharded(mixed, F.col("part"), shards).groupBy("_shard").applyInArrow(run, "x long, block int, ys binary")
+
+
+def _similar(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sorted sets are similar enough."""
+    small, large = (x, y) if len(x) <= len(y) else (y, x)
+    if not len(small) or 100 * len(small) < percent * len(large):
+        return False
+    inter = int((large[np.minimum(np.searchsorted(large, small), len(large) - 1)] == small).sum())
+    return 100 * inter >= percent * (len(x) + len(y) - inter)
+
+
+def _needed(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The documents with these ids; the ids are broadcast only if they are few enough."""
+    small = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    return docs.join(F.broadcast(ids) if small else ids, "doc_id", "left_semi")
+
+
+def confirmed_across(docs: DataFrame, postings: DataFrame, labels: DataFrame, p: MinHash, shards: int) -> DataFrame:
+    """Links (a, b) between components, confirmed on the full sets: for each document one link to each component."""
+    mixed = staged(mixed_lists(postings, labels, p))
+    ids = staged(mixed.select(F.col("doc").alias("doc_id")).distinct())
+    blocks = max(1, math.ceil(ids.count() / 1024))
+    requests = across(mixed, p, shards, blocks).groupBy("block", "x").agg(F.collect_list("ys").alias("ys"))  # as many as x has lists
+    texts = _needed(docs, ids)
+    asked = requests.join(texts.select(F.col("doc_id").alias("x"), F.col("text").alias("own")), "x").select("block", "x", "own", "ys")
+    there = with_block(texts, blocks).select(F.col("_block").alias("block"), F.col("doc_id").alias("doc"), F.col("text").alias("body"))
+
+    def run(there: pa.Table, asked: pa.Table) -> pa.Table:
+        sets: dict[int, list[np.ndarray]] = {}
+        by_id: dict[int, list[int]] = {}
+        for i, d in enumerate(there.column("doc").to_pylist()):
+            by_id.setdefault(d, []).append(i)
+        text, out = there.column("body"), []
+        for x, own, ys in zip(asked.column("x").to_pylist(), asked.column("own"), asked.column("ys").to_pylist(), strict=True):
+            a, done = shingles(own.as_py(), p.shingle), set()
+            for y, root in sorted({tuple(r) for v in ys for r in np.frombuffer(v, np.int64).reshape(-1, 2).tolist()}):
+                if root in done:
+                    continue
+                if y not in sets:
+                    sets[y] = [shingles(text[i].as_py(), p.shingle) for i in by_id.get(y, ())]
+                if any(_similar(a, b, p.percent) for b in sets[y]):
+                    done.add(root)
+                    out.append((min(x, y), max(x, y)))
+        a, b = zip(*out, strict=True) if out else ((), ())
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return there.groupBy("block").cogroup(asked.groupBy("block")).applyInArrow(run, "a long, b long").distinct()
 
 
 def confirmed(docs: DataFrame, pairs: DataFrame, p: MinHash) -> DataFrame:
     """The pairs (a, b) whose full shingle sets are similar enough."""
     pairs = staged(pairs)
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    small = pairs.count() <= BROADCAST_IDS // 2
-    texts = docs.join(F.broadcast(ids) if small else ids, "doc_id", "left_semi")
+    texts = _needed(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct())
     both = pairs.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b").join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -239,28 +312,34 @@ def confirmed(docs: DataFrame, pairs: DataFrame, p: MinHash) -> DataFrame:
                 text = ta.as_py()
                 if text != last or x is None:
                     last, x = text, shingles(text, p.shingle)
-                y = shingles(tb.as_py(), p.shingle)
-                inter = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * inter >= p.percent * (len(x) + len(y) - inter) and inter > 0)
+                keep.append(_similar(x, shingles(tb.as_py(), p.shingle), p.percent))
             mask = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_pydict({"a": batch.column(0).filter(mask), "b": batch.column(1).filter(mask)})
 
     return both.select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
+def _repeated(sigs: DataFrame, classes: DataFrame) -> DataFrame:
+    """Links (a, b) between a doc_id that several rows have and the representatives of those rows' sets."""
+    twice = sigs.groupBy("doc_id").count().where("count > 1").select("doc_id")
+    if twice.isEmpty():
+        return sigs.limit(0).select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b"))
+    rows = sigs.join(twice, "doc_id").select("ha", "hb", F.col("doc_id").alias("b"))
+    return rows.join(classes.select("ha", "hb", F.col("doc_id").alias("a")), ["ha", "hb"]).select("a", "b")
+
+
 def near_duplicates(docs: DataFrame, p: MinHash = MinHash()) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_shingles, component_id, kept."""
     known = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), "text")
     sigs = staged(signatures(known, p))
-    classes = staged(sigs.where("n_shingles > 0").groupBy("ha", "hb").agg(F.min(F.struct("doc_id", "sig")).alias("r")).select("ha", "hb", F.col("r.doc_id").alias("doc_id"), F.col("r.sig").alias("sig")))
+    classes = staged(sigs.where("n_shingles > 0").groupBy("ha", "hb").agg(F.min(F.struct("doc_id", "n_shingles", "sig")).alias("r")).select("ha", "hb", "r.doc_id", F.col("r.n_shingles").alias("n"), "r.sig"))
     postings = staged(prefix_postings(classes, p))
-    shards = max(1, math.ceil(postings.count() / 32768))
+    shards = max(1, math.ceil(postings.count() / 8192))
     first = staged(confirmed(known, trees(postings, p, shards), p))
-    second = confirmed(known, across(postings, connected_components(first), p, shards), p)
-    roots = connected_components(first.unionByName(second))
+    second = confirmed_across(known, postings, connected_components(first), p, shards)
+    roots = connected_components(first.unionByName(second).unionByName(_repeated(sigs, classes)))
     rep = classes.select("ha", "hb", F.col("doc_id").alias("rep")).join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("ha", "hb", F.coalesce("root", "rep").alias("root"))
     out = sigs.select("doc_id", "n_shingles", "ha", "hb").join(rep, ["ha", "hb"], "left")
-    # rows that repeat a doc_id are one node, so the node's smallest label holds for each of them
     component = F.coalesce("root", "doc_id")
     unknown = F.lit(NO_ID)
     return out.select(F.nullif("doc_id", unknown).alias("doc_id"), "n_shingles", F.nullif(component, unknown).alias("component_id"), (component == F.col("doc_id")).alias("kept"))
