@@ -2,10 +2,9 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.canon import comparable, fingerprint
 
@@ -26,31 +25,40 @@ def g3(df: DataFrame, left: Key, right: str) -> DataFrame:
     return out.select("n", "kept", F.round(F.when(F.col("n") == 0, F.lit(0.0)).otherwise(1 - F.col("kept") / F.col("n")), 6).alias("g3"))
 
 
-def _conflict(a: str) -> Column:
-    """From (least, greatest, non-null) of an attribute in a group of n rows: whether its values differ."""
-    return (F.col(f"{a}_a") != F.col(f"{a}_b")) | ((F.col(f"{a}_c") > 0) & (F.col(f"{a}_c") < F.col("_n")))
+def _row_hash(df: DataFrame, attributes: list[str]) -> Column:
+    """One 64-bit hash of all the attributes of a row, nulls told apart by position."""
+    parts = []
+    for a in attributes:
+        own = comparable(df, a)
+        parts += [F.isnull(a), own + F.lit(0.0) if isinstance(df.schema[a].dataType, T.FloatType | T.DoubleType) else own]
+    return F.xxhash64(*parts)
 
 
 def conflict_groups(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame:
-    """_k, _n, and for each attribute <name>_x: whether it conflicts in the group; only groups with some conflict."""
-    aggs = [F.count(F.lit(1)).alias("_n")]
-    for a in attributes:
-        own = comparable(df, a)
-        aggs += [F.min(own).alias(f"{a}_a"), F.max(own).alias(f"{a}_b"), F.count(a).alias(f"{a}_c")]
-    groups = df.groupBy(fingerprint(df, key).alias("_k")).agg(*aggs).where("_n > 1")
-    flags = {f"{a}_x": F.coalesce(_conflict(a), F.lit(False)) for a in attributes}
-    out = groups.select("_k", "_n", *(c.alias(n) for n, c in flags.items()))
-    return out.where(reduce(lambda x, y: x | y, [F.col(n) for n in flags]))
+    """_k, _n of the groups whose rows differ in some attribute.
+
+    Rows are compared by one hash of all attributes, so the width of the shuffle does not grow with their number.
+    """
+    keyed = df.select(fingerprint(df, key).alias("_k"), _row_hash(df, attributes).alias("_h"))
+    groups = keyed.groupBy("_k").agg(F.count(F.lit(1)).alias("_n"), F.min("_h").alias("_a"), F.max("_h").alias("_b"))
+    return groups.where("_a <> _b").select("_k", "_n")
 
 
 def conflict_values(df: DataFrame, key: Key, attributes: list[str], extra: dict[str, Column] | None = None) -> DataFrame:
-    """_k, attribute, value (as text) of the rows in conflicting groups, for the attributes that conflict there."""
+    """_k, attribute, value (as text) of the rows in conflicting groups."""
     extra = extra or {}
     keyed = df.withColumn("_k", fingerprint(df, key)).select("_k", *attributes, *(c.alias(n) for n, c in extra.items()))
     rows = keyed.join(conflict_groups(df, key, attributes), "_k")
-    cells = F.array(*(F.struct(F.lit(a).alias("attribute"), _text(df, a).alias("value"), F.col(f"{a}_x").alias("_x")) for a in attributes))
-    long = rows.select("_k", "_n", *extra, F.explode(cells).alias("_cell")).where("_cell._x")
-    return long.select("_k", "_n", *extra, "_cell.attribute", "_cell.value")
+    cells = F.array(*(F.struct(F.lit(a).alias("attribute"), _text(df, a).alias("value")) for a in attributes))
+    return rows.select("_k", "_n", *extra, F.inline(cells))
+
+
+def conflict_counts(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame:
+    """attribute, n_conflicts: keys with more than one value of the attribute."""
+    values = conflict_values(df, key, attributes).select("_k", "attribute", "value").distinct()
+    bad = values.groupBy("_k", "attribute").count().where("count > 1").groupBy("attribute").agg(F.count(F.lit(1)).alias("n_conflicts"))
+    every = df.sparkSession.createDataFrame([(a,) for a in attributes], "attribute string")
+    return every.join(bad, "attribute", "left").select("attribute", F.coalesce("n_conflicts", F.lit(0).cast("long")).alias("n_conflicts"))
 
 
 def _text(df: DataFrame, a: str) -> Column:
@@ -62,7 +70,8 @@ def profile(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame:
     """attribute, stability of all attributes in two phases.
 
     Groups of one row, or of rows that agree, lose nothing, so only conflicting groups are counted value by value: the
-    relation is shuffled once, narrow, whatever the number of attributes, and the rest is in proportion to conflicts.
+    relation is shuffled once, as two hashes a row whatever the number of attributes, and the rest is in proportion to
+    conflicts.
     """
     counts = conflict_values(df, key, attributes).groupBy("_k", "attribute", "value").agg(F.count(F.lit(1)).alias("c"))
     lost = counts.groupBy("_k", "attribute").agg((F.sum("c") - F.max("c")).alias("lost")).groupBy("attribute").agg(F.sum("lost").alias("lost"))
