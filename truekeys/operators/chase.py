@@ -24,7 +24,7 @@ def conflicts(df: DataFrame, key: Key, attribute: str, order: str) -> DataFrame:
     return grouped.where("n_values > 1").select(*key, "n_values", F.transform("s", lambda x: F.coalesce(x["v"].cast("string"), F.lit("NULL"))).alias("values"))
 
 
-def choice(rule: str, predicate: str | None = None) -> Callable[[], Column]:
+def choice(rule: str, predicate: str | None = None, priority: tuple[str, ...] = ()) -> Callable[[], Column]:
     """Aggregate over (value, c rows, first order value, latest O) that picks the value to keep; ties to the earliest row."""
     first = F.struct(F.col("c"), (-F.col("f")).alias("f"))
     picks = {
@@ -33,13 +33,20 @@ def choice(rule: str, predicate: str | None = None) -> Callable[[], Column]:
         "max": lambda: F.max("typed"),
         "first": lambda: F.min_by("value", "f"),
         "longest": lambda: F.max_by("value", F.struct(F.length("value").alias("l"), F.col("value"))),
+        "priority": lambda: F.min_by("value", F.struct(_place(priority), -F.col("c"), F.col("f"))),
         "latest": lambda: F.max_by("value", F.struct("o", "value")),
         "validated": lambda: F.coalesce(F.max_by(F.when(F.expr(predicate or "true"), F.col("value")), F.when(F.expr(predicate or "true"), first)), F.max_by("value", first)),
     }
     return picks[rule]
 
 
-def resolution(df: DataFrame, key: Key, attributes: list[str], order: str, rule: str = "majority", latest: str | None = None, predicate: str | None = None) -> DataFrame:
+def _place(priority: tuple[str, ...]) -> Column:
+    """Place of the value in the list, last if it is not in it."""
+    at = F.array_position(F.array(*(F.lit(p) for p in priority)) if priority else F.array(F.lit("")), F.col("value"))
+    return F.when(at > 0, at).otherwise(F.lit(len(priority) + 1)).alias("place")
+
+
+def resolution(df: DataFrame, key: Key, attributes: list[str], order: str, rule: str = "majority", latest: str | None = None, predicate: str | None = None, priority: tuple[str, ...] = ()) -> DataFrame:
     """_k, attribute, value: what each conflicting group keeps. order: a number that says which row came first."""
     extra = {"_f": F.col(order), "_o": F.col(latest) if latest else F.lit(None).cast("string")}
     values = conflict_values(df, key, attributes, extra).where("value is not null")
@@ -48,7 +55,7 @@ def resolution(df: DataFrame, key: Key, attributes: list[str], order: str, rule:
         per = values.select("_k", "attribute", F.col("value").cast(typed).alias("typed"))
         return per.groupBy("_k", "attribute").agg(choice(rule)().cast("string").alias("value"))
     per = values.groupBy("_k", "attribute", "value").agg(F.count(F.lit(1)).alias("c"), F.min("_f").alias("f"), F.max("_o").alias("o"))
-    return per.groupBy("_k", "attribute").agg(choice(rule, predicate)().alias("value"))
+    return per.groupBy("_k", "attribute").agg(choice(rule, predicate, priority)().alias("value"))
 
 
 def apply(df: DataFrame, key: Key, attributes: list[str], resolved: DataFrame) -> DataFrame:
@@ -60,8 +67,8 @@ def apply(df: DataFrame, key: Key, attributes: list[str], resolved: DataFrame) -
     return out.select(df.columns)
 
 
-def resolve(df: DataFrame, key: Key, attributes: list[str], order: str, rule: str = "majority", latest: str | None = None, predicate: str | None = None) -> DataFrame:
-    return apply(df, key, attributes, resolution(df, key, attributes, order, rule, latest, predicate))
+def resolve(df: DataFrame, key: Key, attributes: list[str], order: str, rule: str = "majority", latest: str | None = None, predicate: str | None = None, priority: tuple[str, ...] = ()) -> DataFrame:
+    return apply(df, key, attributes, resolution(df, key, attributes, order, rule, latest, predicate, priority))
 
 
 def resolve_by_list(df: DataFrame, key: Key, attribute: str, chosen: DataFrame, order: str) -> DataFrame:

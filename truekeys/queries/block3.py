@@ -211,6 +211,12 @@ def chase_rule_majority(spark: SparkSession, folder: str) -> DataFrame:
     return chase.resolve(t(spark, folder, "documents"), ["text"], ["source"], "doc_id").select("doc_id", "source")
 
 
+@query("chase_rule_priority", "with p as (select doc_id, text, source from documents), b as (select text, first(source order by case source when 'src3' then 1 when 'src1' then 2 else 3 end, c desc, f) as v from (select text, source, count(*) as c, min(doc_id) as f from p group by text, source) group by text) select doc_id, b.v as source from p join b on p.text = b.text")
+def chase_rule_priority(spark: SparkSession, folder: str) -> DataFrame:
+    """Trusted sources first."""
+    return chase.resolve(t(spark, folder, "documents"), ["text"], ["source"], "doc_id", "priority", priority=("src3", "src1")).select("doc_id", "source")
+
+
 @query("chase_rule_expert", _DRIFTED + "select orig as orig_id, case when c_name in (select c_name from cust where c_mktsegment = 'DRIFTED') then 'EXPERT' else c_mktsegment end as c_mktsegment from cust")
 def chase_rule_expert(spark: SparkSession, folder: str) -> DataFrame:
     c = drifted(spark, folder).tables["customer"]
