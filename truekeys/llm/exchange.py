@@ -28,9 +28,15 @@ POSTING = "_shard int, _block int, c0 binary, c1 binary, c2 binary"
 
 
 def counts(docs: DataFrame) -> tuple[int, int]:
-    """(blocks, shards) for the number of rows: both grow in proportion, so that their sizes stay bounded."""
+    """(blocks, shards) for the number of rows.
+
+    Both grow with the input, so what a task holds stays bounded.  A block reaches as many shards as it has keys at
+    most, so with many shards its packed rows get short; from 4 million rows on, blocks grow up to 8-fold and shards up
+    to 16-fold (some 30 MB of text and 50 MB of postings) to keep them worth packing.
+    """
     n = docs.count()
-    return max(1, math.ceil(n / BLOCK_ROWS)), max(1, math.ceil(n / SHARD_ROWS))
+    factor = max(1.0, math.sqrt(n / 4_000_000))
+    return max(1, math.ceil(n / (BLOCK_ROWS * min(8.0, factor)))), max(1, math.ceil(n / (SHARD_ROWS * min(16.0, factor))))
 
 
 def with_block(docs: DataFrame, blocks: int, key: str = "doc_id") -> DataFrame:
