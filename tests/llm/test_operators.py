@@ -1,5 +1,6 @@
 """Text operators against brute force, on awkward small tables and on the smallest given one."""
 
+import base64
 import collections
 import hashlib
 import itertools
@@ -10,6 +11,7 @@ import zlib
 
 import numpy as np
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 
 from tests_support import WORD, brute_lines, brute_near, brute_windows
@@ -91,6 +93,36 @@ def test_quality_rules(spark, docs, texts):
     assert quality_rules.quality_rules(empty_of(docs)).count() == 0
 
 
+def test_quality_bands_reject_noise_and_keep_prose(spark):
+    rng = random.Random(9)
+
+    def lines(n):
+        s = base64.b64encode(rng.randbytes(n)).decode()
+        return "\n".join(s[i : i + 76] for i in range(0, len(s), 76))[:n]
+
+    def tokens(letters, n):
+        return " ".join("".join(rng.choice(letters) for _ in range(rng.randint(3, 9))) for _ in range(n))[:n]
+
+    bands, pack = quality_rules.Bands(), zstandard.ZstdCompressor(level=3)
+    clean = spark.read.parquet("/root/testdata/sf0.1/labels.parquet").where("quality = 1").where(quality_classifier.remainder() == 0).select("doc_id")
+    kept = [r for r in (quality_rules.profile(d.text, bands, pack) | {"text": d.text} for d in spark.read.parquet("/root/testdata/sf0.1/documents.parquet").join(clean, "doc_id").collect()) if not r["base_failed"]]
+    assert sum(r["kept"] for r in kept) >= 0.98 * len(kept) > 400
+    noise = [lines(n) for n in (1500, 5000, 100_000)] + [tokens("0123456789abcdef", n) for n in (5000, 100_000)] + [tokens("abcdefghijklmnopqrstuvwxyz", n) for n in (1500, 5000, 100_000)]
+    assert not any(quality_rules.profile(t, bands, pack)["kept"] for t in noise)
+    long = [r["text"] for r in kept if 6000 <= len(r["text"].encode()) <= 16_000][:40]
+    assert len(long) == 40 and not any(quality_rules.profile(t[: len(t) // 2] + lines(len(t) // 2), bands, pack)["kept"] for t in long)
+    tails = [r["text"] for r in kept if 2048 <= len(r["text"].encode()) < 2400][:20]
+    assert tails and all(quality_rules.profile(t.encode()[:2048].decode("utf-8", "ignore") + lines(1500), bands, pack)["bad_chunks"] > 0.2 for t in tails)
+
+
+def test_quality_bands_are_learnt_on_the_training_fold(spark):
+    sf = "/root/testdata/sf0.1"
+    got = quality_rules.learn(spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet"))
+    for n in (800, 1500, 5000):
+        assert all(abs(a - b) < 0.05 for a, b in zip(got.limits(n), quality_rules.Bands().limits(n), strict=True))
+    assert 0.45 < got.chunk[0] < 0.48 and 0.53 < got.chunk[1] < 0.57
+
+
 def test_line_dedup(docs, texts):
     got = {r.doc_id: r for r in line_dedup.line_dedup(docs).collect()}
     want = brute_lines(texts)
