@@ -6,6 +6,7 @@ import hashlib
 import itertools
 import random
 import re
+import textwrap
 import unicodedata
 import zlib
 
@@ -340,6 +341,29 @@ def test_licences(spark):
     assert got[2].sentence_ids == got[3].sentence_ids == ",22,23,24," and got[8].sentence_ids == ",41,40,"
 
 
+def test_licence_files_with_head_lines(spark):
+    n, mark = licences.SENTENCES, "Copyright (c) 2020 Jane Doe"
+
+    def file(*paragraphs):
+        return "\n\n".join(textwrap.fill(p, 78) for p in paragraphs)
+
+    mit = (n[22], n[23], n[24] + " IN NO EVENT SHALL THE AUTHORS BE LIABLE.")
+    gpl = (f"{n[11]} {n[12]}", f"{n[13]} {n[14]} {n[15]}", n[16])
+    bsd = (n[40], "1. " + n[41], "2. " + n[42])
+    texts = {
+        "MIT": [file("MIT License", mark, *mit), "MIT License\n" + mark + "\n" + file(*mit), "The MIT License (MIT)\n" + file(*mit), file("MIT License", mark, *mit).replace("\n", "\r\n"), re.sub("(?m)^", " * ", file("MIT License", mark, *mit))],
+        "GPL-3.0-or-later": [mark + "\n" + file(*gpl), file("A program", mark, *gpl)],
+        "BSD-2-Clause": [file("BSD 2-Clause License", mark, *bsd), "Copyright (c) 2020, Jane Doe\nAll rights reserved.\n\n" + file(*bsd)],
+        "BSD-3-Clause": [file("BSD 3-Clause License", mark, *bsd, "3. " + n[43])],
+        "ISC": [file("ISC License", mark, n[61])],
+        "Apache-2.0": ["Copyright 2020 Jane Doe\n" + file(f"{n[2]} {n[3]} {n[4]}", "    http://www.apache.org/licenses/LICENSE-2.0", f"{n[5]} {n[6]}")],
+        "All-Rights-Reserved": ["Some text.\nAll rights reserved.", mark + "\nAll rights reserved."],
+    }
+    rows = [(f"{name} {i}", t) for name, ts in texts.items() for i, t in enumerate(ts)]
+    got = {r.doc_id: r.licence for r in licences.licence_scan(spark.createDataFrame(rows, "doc_id string, text string")).collect()}
+    assert got == {i: i.split(" ")[0] for i, _ in rows}
+
+
 @pytest.mark.parametrize("algorithm", ["bpe", "unigram"])
 def test_sentencepiece_ids_are_the_librarys(algorithm):
     proto = None

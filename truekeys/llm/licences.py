@@ -3,7 +3,8 @@
 A text is cut into sentences (at line ends, and at full stops and the like before a blank), each is normalised to lower
 case words, and known sentences become identifiers.  Licence rules are ordered sequences of identifiers; a rule matches
 where its sequence stands in a text's identifiers without a known sentence between.  A second reading joins the lines of
-a paragraph first, for licence texts that are wrapped.  The first matching rule in the order of the list names the
+a paragraph first, for licence texts that are wrapped; paragraphs end at lines without words, and a title or copyright
+line is a sentence of its own.  The first matching rule in the order of the list names the
 licence; longer sequences stand first, so a full licence text outranks a notice in it.
 
 All steps are DataFrame functions.  Defined results: a null or empty text has no sentences and no licence; rows are
@@ -80,6 +81,7 @@ RULES = (
     ("CC-BY-SA-4.0", (35,)),
     ("CC-BY-4.0", (31,)),
     ("CC-BY-4.0", (33,)),
+    ("All-Rights-Reserved", (70,)),
 )
 
 
@@ -107,6 +109,17 @@ def _identifiers(text: Column) -> Column:
     return F.filter(F.transform(F.filter(cut, lambda s: s.rlike(start)), lookup), lambda i: i.isNotNull())
 
 
+MARKS = r"[ \t\r*#/;>|-]*"
+COPYRIGHT = rf"(?im)^({MARKS}(?:copyright[ \t:,]*(?:\(c\)|©|&copy;|<|\[|[0-9]{{4}})|(?:\(c\)|©)[ \t]*[0-9]{{4}})[^\n]*)$"
+TITLE = rf"(?im)(\A|\n{MARKS}\n)({MARKS}(?:[a-z0-9.\"'&+-]+[ \t]+){{0,6}}licen[sc]e(?:[ \t]*\([^)\n]*\))?(?:,?[ \t]+v(?:ersion)?[ \t]*[0-9.]+)?[ \t\r:]*)$"
+
+
+def _joined(text: Column) -> Column:
+    """The lines of each paragraph joined; title and copyright lines are paragraphs."""
+    apart = F.regexp_replace(F.regexp_replace(text, COPYRIGHT, "\n\n$1\n\n"), TITLE, "$1$2\n\n")
+    return F.array_join(F.transform(F.split(apart, rf"\n(?:{MARKS}\n)+"), lambda p: F.regexp_replace(p, r"\r?\n", " ")), "\n")
+
+
 def _listed(ids: Column) -> Column:
     return F.concat(F.lit(","), F.array_join(ids.cast("array<string>"), ","), F.lit(","))
 
@@ -114,7 +127,7 @@ def _listed(ids: Column) -> Column:
 def licence_scan(docs: DataFrame) -> DataFrame:
     """docs(doc_id, text) -> doc_id, n_sentences (known ones), sentence_ids, licence (null if none), n_rules (matches)."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    lines = docs.select("doc_id", _identifiers(text).alias("a"), _identifiers(F.regexp_replace(text, r"\r?\n", " ")).alias("b"))
+    lines = docs.select("doc_id", _identifiers(text).alias("a"), _identifiers(_joined(text)).alias("b"))
     listed = lines.withColumns({"la": _listed(F.col("a")), "lb": _listed(F.col("b"))})
     hits = [F.col("la").contains(f",{','.join(map(str, ids))},") | F.col("lb").contains(f",{','.join(map(str, ids))},") for _, ids in RULES]
     licence = F.coalesce(*(F.when(h, F.lit(name)) for h, (name, _) in zip(hits, RULES, strict=True)))
@@ -129,7 +142,7 @@ def licence_scan(docs: DataFrame) -> DataFrame:
 
 
 def oracle() -> str:
-    """The same in DuckDB SQL."""
+    """The same in DuckDB SQL for texts without blank, title and copyright lines; it joins the whole text."""
     quote = lambda s: "'" + s.replace("'", "''") + "'"
     known = "MAP {" + ", ".join(f"{quote(k)}: {i}" for k, i in KNOWN.items()) + "}"
 
