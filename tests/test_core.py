@@ -1,6 +1,7 @@
 """The worked example, definitions against brute force, invariants and awkward inputs."""
 
 import datetime as dt
+import inspect
 import itertools
 import random
 
@@ -106,6 +107,24 @@ def test_suppression_is_the_inductive_definition(spark, seed):
     assert {n: sorted(r.id for r in t.collect()) for n, t in fix.db.tables.items()} == {n: sorted(v.values()) for n, v in want.items()}
 
 
+def test_fixpoint_has_no_silent_bound(spark):
+    depth = 3
+    staff = [(2 * k + copy, f"n{k}", 2 * (k - 1) + copy if k else None) for k in range(depth) for copy in (0, 1)]
+    spec = DatabaseSpec({"staff": Relation("staff", ("id",), ("name", "boss"))}, (ForeignKey("staff", ("boss",), "staff", ("id",)),))
+    db = Database(spec, {"staff": spark.createDataFrame(staff, "id long, name string, boss long").coalesce(1)})
+    got = propagate.fixpoint(db).db.tables["staff"].collect()
+    assert sorted(r.id for r in got) == sorted(2 * k for k in range(depth) for _ in (0, 1))
+    with pytest.raises(RuntimeError):
+        propagate.fixpoint(db, max_rounds=1)
+    assert inspect.signature(propagate.fixpoint).parameters["max_rounds"].default is None
+
+
+def test_components_raise_when_cut(spark):
+    links = spark.createDataFrame([(k, k + 1) for k in range(9)], "a long, b long").coalesce(1)
+    with pytest.raises(RuntimeError):
+        connected_components(links, max_rounds=1)
+
+
 def test_g3_of_the_definition(spark):
     rng = random.Random(3)
     data = [(rng.randrange(4), rng.choice([None, "x", "y", "z"])) for _ in range(40)]

@@ -2,24 +2,29 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.staging import staged
 
 
-def connected_components(links: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 40) -> DataFrame:
+def connected_components(links: DataFrame, a: str = "a", b: str = "b", max_rounds: int | None = None) -> DataFrame:
     """links(a, b) -> node, root: every linked node with the smallest node of its component.
 
     Each round hangs the neighbours of a node under the smallest one known, first the larger neighbours, then the
     smaller; a component of n nodes becomes one star in O(log n) rounds.  Minima are pre-aggregated on the map side
-    and joined back, so a hub costs one row a task, and a skewed join can be split.
+    and joined back, so a hub costs one row a task, and a skewed join can be split.  With ``max_rounds``, links that
+    need more raise.
     """
     edges = staged(links.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct())
     seen = _mark(edges)
-    for _ in range(max_rounds):
+    for done in count():
         if not seen[0]:
             break
+        if done == max_rounds:
+            raise RuntimeError(f"connected_components: links still change after {max_rounds} rounds")
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()

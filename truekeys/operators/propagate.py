@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from itertools import count
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -92,18 +93,21 @@ def suppress(db: Database, restricted: bool = False, lineage: bool = False) -> S
     return Suppressed(Database(spec, now), maps, order)
 
 
-def fixpoint(db: Database, max_rounds: int = 30) -> Suppressed:
+def fixpoint(db: Database, max_rounds: int | None = None) -> Suppressed:
     """For graphs with cycles: collapse and follow, all relations at a time, until no map changes anything.
 
     Equivalence is defined inductively, so iterating from "all different" reaches the least solution; each round either
-    merges classes or ends, after at most as many rounds as the longest chain of references.
+    merges classes or ends, after at most as many rounds as the longest chain of references.  With ``max_rounds``, a
+    chain that needs more raises.
     """
     spec, now = db.spec, dict(db.tables)
     total: dict[tuple[str, str], DataFrame] = {}
-    for _ in range(max_rounds):
+    for done in count():
         maps = {(n, sk): staged(sk_map(t, sk, spec.relations[n].potential_key())) for n, t in now.items() for sk in spec.relations[n].sks}
         if all(m.isEmpty() for m in maps.values()):
             break
+        if done == max_rounds:
+            raise RuntimeError(f"fixpoint: keys still change after {max_rounds} rounds")
         for (n, sk), m in maps.items():
             now[n] = apply_map(now[n], sk, m)
             total[n, sk] = staged(apply_map(total[n, sk], "rep", m).unionByName(m)) if (n, sk) in total else m
