@@ -33,15 +33,35 @@ def comparable(df: DataFrame, name: str) -> Column:
     return F.sort_array(F.map_entries(c)) if isinstance(df.schema[name].dataType, T.MapType) else c
 
 
+def part(c: Column, kind: T.DataType) -> Column:
+    """The value as text that differs exactly where Spark's grouping tells two values of the type apart; null is 'n'.
+
+    Texts are prefixed with their length in bytes, so parts can be put end to end.  Timestamps are counted in
+    microseconds, -0.0 is 0.0 at any depth, and strings and binaries are taken byte by byte.
+    """
+    if isinstance(kind, T.StructType):
+        own = F.when(c.isNotNull(), F.concat(F.lit("{"), *(part(c.getField(f.name), f.dataType) for f in kind.fields), F.lit("}")))
+    elif isinstance(kind, T.ArrayType):
+        own = F.concat(F.lit("["), F.array_join(F.transform(c, lambda x: part(x, kind.elementType)), ""), F.lit("]"))
+    elif isinstance(kind, T.MapType):
+        entry = lambda e: F.concat(part(e["key"], kind.keyType), part(e["value"], kind.valueType))
+        own = F.concat(F.lit("<"), F.array_join(F.array_sort(F.transform(F.map_entries(c), entry)), ""), F.lit(">"))
+    else:
+        if isinstance(kind, T.FloatType | T.DoubleType):
+            c = c + F.lit(0.0).cast(kind)
+        elif isinstance(kind, T.TimestampType):
+            c = F.unix_micros(c)
+        elif isinstance(kind, T.BinaryType):
+            c = F.hex(c)
+        shown = c.cast("string")
+        own = F.concat(F.octet_length(shown).cast("string"), F.lit(":"), shown)
+    return F.coalesce(own, F.lit("n"))
+
+
 def fingerprint(df: DataFrame, columns: list[str] | tuple[str, ...]) -> Column:
     """256 bits of the columns' values: one narrow, never-null grouping and join key for any number of columns.
 
-    Null is a value of its own (left out of the JSON text), which makes equality null-safe.
+    Null is a value of its own, which makes equality null-safe; two rows have one key exactly if Spark's own grouping
+    by the columns (maps as sets of entries) would put them together.
     """
-    exprs = []
-    for c in columns:
-        own = comparable(df, c)
-        if isinstance(df.schema[c].dataType, T.FloatType | T.DoubleType):
-            own = own + F.lit(0.0)  # -0.0 and 0.0 are one value
-        exprs.append(own.alias(c))
-    return F.sha2(F.to_json(F.struct(*exprs)), 256)
+    return F.sha2(F.concat(F.lit(""), *(part(F.col(c), df.schema[c].dataType) for c in columns)), 256)
