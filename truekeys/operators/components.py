@@ -7,7 +7,7 @@ from itertools import count
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.staging import staged
+from ..plans.staging import discard, staged
 
 
 def connected_components(links: DataFrame, a: str = "a", b: str = "b", max_rounds: int | None = None) -> DataFrame:
@@ -30,7 +30,8 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b", max_round
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         small = large.groupBy("u").agg(F.min("v").alias("m"))
         moved = large.join(small, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        edges = staged(moved.unionByName(small.select("u", F.col("m").alias("v"))).distinct())
+        before, edges = edges, staged(moved.unionByName(small.select("u", F.col("m").alias("v"))).distinct())
+        discard(before)
         now = _mark(edges)
         if now == seen:
             break
