@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import re
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..plans.model import Database
+from ..plans.model import Database, DatabaseSpec, ForeignKey
 from . import verify
 from .propagate import LINEAGE
 
@@ -19,27 +22,71 @@ def history(df: DataFrame, sks: list[str], key: list[str], completing: list[str]
     return df.select(*dict.fromkeys([*sks, *(key if carry_key else []), *completing, *unstable])).distinct()
 
 
+def path(spec: DatabaseSpec, relation: str, o: str) -> list[tuple[str, ForeignKey, bool]]:
+    """(relation, key, whether the key points back) of every step from the relation to that of the completing attribute.
+
+    ``other.column`` takes the one shortest path of foreign keys; ``a[key]/b[key].column`` names the steps, and their key
+    columns where two relations share several.  More than one way to go raises.
+    """
+    *steps, last = o.rsplit(".", 1)[0].split("/")
+    names = [re.fullmatch(r"(\w+)(?:\[(\w+)\])?", s).groups() for s in (*steps, last)]
+
+    def hops(here: str, there: str, key: str | None) -> list[tuple[str, ForeignKey, bool]]:
+        return [(there, f, f.source == there) for f in spec.fks if (f.source, f.target) in ((here, there), (there, here)) and (key is None or key in f.columns)]
+
+    def only(found: list, what: str) -> list:
+        if len(found) != 1:
+            raise ValueError(f"{len(found)} ways from {relation} to {what}: name the steps and their keys")
+        return found[0]
+
+    here, out = relation, []
+    for there, key in names:
+        ways = [[h] for h in hops(here, there, key)]
+        if not ways and key is None:
+            reached = [[h] for n in spec.relations for h in hops(here, n, None)]
+            while reached and not ways:
+                reached = [[*w, h] for w in reached for n in spec.relations if n != here and n not in {x[0] for x in w} for h in hops(w[-1][0], n, None)]
+                ways = [w for w in reached if w[-1][0] == there]
+        out += only(ways, there)
+        here = there
+    return out
+
+
+def o_column(db: Database, relation: str, o: str) -> str:
+    """The name that the completing attribute has in the completed relation."""
+    column = o.rsplit(".", 1)[-1]
+    return column if "." not in o or column not in db.tables[relation].columns else "o_" + column
+
+
 def completed(db: Database, relation: str, o: str) -> DataFrame:
-    """The relation with the completing attribute ``other.column`` joined in over keys as they were before cleaning.
+    """The relation with the completing attribute joined in along foreign keys, over keys as they were before cleaning.
 
     Cleaned keys would pair every version of an entity with every event of it; lineage keys pair each with its own.
+    Rows without a partner stay, with a null: none of their values may be lost.
     """
-    own = db.tables[relation]
+    out = db.tables[relation]
     if "." not in o:
-        return own
-    other, column = o.split(".")
-    fk = next(f for f in db.spec.sfks() if {f.source, f.target} == {relation, other})
-    there, inward = db.tables[other], fk.source == other
-    here_key, there_key = (LINEAGE + fk.target_columns[0], LINEAGE + fk.columns[0]) if inward else (LINEAGE + fk.columns[0], LINEAGE + fk.target_columns[0])
-    return own.join(there.select(F.col(there_key).alias("_o_key"), F.col(column)), F.col(here_key) == F.col("_o_key")).drop("_o_key")
+        return out
+    before = lambda t, c: LINEAGE + c if LINEAGE + c in t.columns else c
+    steps, here, prefix = path(db.spec, relation, o), out, ""
+    for i, (name, fk, back) in enumerate(steps):
+        there = db.tables[name]
+        ours, theirs = (fk.target_columns, fk.columns) if back else (fk.columns, fk.target_columns)
+        renamed = there.select(*(F.col(c).alias(f"_{i}_{c}") for c in there.columns))
+        match = reduce(lambda a, b: a & b, [F.col(prefix + before(here, a)) == F.col(f"_{i}_" + before(there, b)) for a, b in zip(ours, theirs, strict=True)])
+        out, here, prefix = out.join(renamed, match, "left"), there, f"_{i}_"
+    return out.select(*db.tables[relation].columns, F.col(prefix + o.rsplit(".", 1)[-1]).alias(o_column(db, relation, o)))
 
 
 def split(db: Database, relation: str, stable: list[str], unstable: list[str], candidates: list[str], carry_key: bool = True) -> tuple[DataFrame, DataFrame, str]:
-    """(stable part, history, completing attribute): the first candidate that makes (surrogate key, it) a key."""
+    """(stable part, history, completing attribute): the first candidate that makes (surrogate key, it) a key.
+
+    Rows that the candidate's relation knows nothing of have a null there and count in the check of the key.
+    """
     r = db.spec.relations[relation]
     sks, key = list(r.sks), list(r.potential_key())
     for o in candidates:
-        column = o.split(".")[-1]
+        column = o_column(db, relation, o)
         out = history(completed(db, relation, o), sks, key, [column], unstable, carry_key)
         if verify.is_key(out, [sks[0], column]):
             return stable_part(db.tables[relation], sks, key, stable), out, o
