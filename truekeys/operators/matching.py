@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.staging import staged
 from .components import connected_components
 
 
@@ -18,10 +19,44 @@ def candidate_pairs(df: DataFrame, sk: str, block: Column, value: str, alike: Ca
     distinct = df.select(F.col(value).alias("v"), block.alias("_b"), sk).groupBy("_b", "v").agg(F.min(sk).alias("k"))
     a, b = distinct.select("_b", F.col("v").alias("va"), F.col("k").alias("a")), distinct.select("_b", F.col("v").alias("vb"), F.col("k").alias("b"))
     near = a.join(b, "_b").where("a < b").where(alike(F.col("va"), F.col("vb"))).select("a", "b")
-    copies = df.select(F.col(value).alias("v"), F.col(sk).alias("b")).join(distinct.groupBy("v").agg(F.min("k").alias("a")), "v").where("a < b").select("a", "b")
+    copies = df.select(F.col(value).alias("v"), block.alias("_b"), F.col(sk).alias("b")).join(distinct.select("_b", "v", F.col("k").alias("a")), ["_b", "v"]).where("a < b").select("a", "b")
     return near.unionByName(copies).distinct()
 
 
+def shingle_set(text: Column, width: int) -> Column:
+    """Distinct hashes of runs of ``width`` lower-case words of letters and digits; fewer words are one run."""
+    words = F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit("[a-z0-9]+"), 0)
+
+    def runs(w: Column) -> Column:
+        starts = F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(w) - (width - 1)))
+        return F.when(F.size(w) > 0, F.array_sort(F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice(w, i, width), " "))))))
+
+    return F.transform(F.array(words), runs)[0]  # bound once: an expression repeated in a lambda would be evaluated anew
+
+
+def minhash_pairs(df: DataFrame, sk: str, text: str, width: int = 5, similar: float = 0.8, bands: int = 32, rows: int = 2) -> DataFrame:
+    """(a, b) whose sets of word shingles have a Jaccard similarity of at least ``similar``.
+
+    Equal sets are folded first, so copies are linked to the least key only.  Signatures are cut into bands; two sets
+    that share a band are candidates, and each is confirmed on the whole sets.  A pair at the threshold is missed with
+    probability (1 - similar ** rows) ** bands: 6e-15 as it is.  Near copies that are all alike make a band's pairs
+    quadratic in their number: fold such groups by a coarser equality before.
+    """
+    sets = staged(df.select(F.col(sk).alias("k"), shingle_set(F.col(text), width).alias("s")).where("s is not null"))
+    keyed = sets.withColumn("h", F.sha2(F.array_join(F.col("s").cast("array<string>"), ","), 256))
+    first = staged(keyed.groupBy("h").agg(F.min("k").alias("k"), F.first("s").alias("s")))
+    least = lambda i: F.array_min(F.transform("s", lambda x: F.xxhash64(x, F.lit(i))))
+    keys = F.array(*(F.xxhash64(F.lit(b), *(least(b * rows + r) for r in range(rows))) for b in range(bands)))
+    posted = staged(first.select("k", F.size("s").alias("n"), F.explode(keys).alias("band")))
+    a, b = posted.select("band", F.col("k").alias("a"), F.col("n").alias("na")), posted.select("band", F.col("k").alias("b"), F.col("n").alias("nb"))
+    near = a.join(b, "band").where("a < b").where((F.least("na", "nb") >= similar * F.greatest("na", "nb"))).select("a", "b").distinct()
+    both = near.join(first.select(F.col("k").alias("a"), F.col("s").alias("sa")), "a").join(first.select(F.col("k").alias("b"), F.col("s").alias("sb")), "b")
+    common = F.size(F.array_intersect("sa", "sb"))
+    alike = both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b")
+    copies = keyed.select("h", F.col("k").alias("b")).join(first.select("h", F.col("k").alias("a")), "h").where("a < b").select("a", "b")
+    return alike.unionByName(copies)
+
+
 def classes_from_pairs(df: DataFrame, sk: str, pairs: DataFrame) -> DataFrame:
     """(sk, rep) of every row: pairs closed transitively, with the least key of each class as its representative."""
     roots = connected_components(pairs).select(F.col("node").alias(sk), "root")

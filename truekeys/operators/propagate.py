@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 from itertools import count
 
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..plans import graph
 from ..plans.model import Database
-from ..plans.staging import staged
+from ..plans.staging import discard, staged
 from .equivalence import representatives, sk_map
 
 LINEAGE = "__orig_"
@@ -75,14 +76,17 @@ def suppress(db: Database, restricted: bool = False, lineage: bool = False) -> S
         now[source] = apply_map(now[source], column, maps[target, fk.target_columns[0]])
         done.add((source, column))
 
+    def mapped(name: str) -> None:
+        """Maps of a relation, whose references are clean by now."""
+        for sk in spec.relations[name].sks:
+            maps[name, sk] = staged(sk_map(now[name], sk, spec.relations[name].potential_key()))
+
     for layer in order:
-        for name in layer:
-            relation = spec.relations[name]
-            if relation.declared_nk:
-                continue
-            for sk in relation.sks:
-                maps[name, sk] = staged(sk_map(now[name], sk, relation.potential_key()))
-            for sk in relation.sks:
+        own = [n for n in layer if not spec.relations[n].declared_nk]
+        with ThreadPoolExecutor(max_workers=8) as pool:  # relations of a layer do not wait for each other
+            list(pool.map(mapped, own))
+        for name in own:
+            for sk in spec.relations[name].sks:
                 now[name] = apply_map(now[name], sk, maps[name, sk])
             for e in edges:
                 if e[2] == name:
@@ -93,25 +97,48 @@ def suppress(db: Database, restricted: bool = False, lineage: bool = False) -> S
     return Suppressed(Database(spec, now), maps, order)
 
 
-def fixpoint(db: Database, max_rounds: int | None = None) -> Suppressed:
+def fixpoint(db: Database, max_rounds: int | None = None, lineage: bool = False) -> Suppressed:
     """For graphs with cycles: collapse and follow, all relations at a time, until no map changes anything.
 
     Equivalence is defined inductively, so iterating from "all different" reaches the least solution; each round either
     merges classes or ends, after at most as many rounds as the longest chain of references.  With ``max_rounds``, a
-    chain that needs more raises.
+    chain that needs more raises.  A round rewrites only the relations that a map of it touches.
     """
-    spec, now = db.spec, dict(db.tables)
+    spec, now = db.spec, dict((with_lineage(db) if lineage else db).tables)
+    edges = graph.propagation_graph(spec)
     total: dict[tuple[str, str], DataFrame] = {}
     for done in count():
-        maps = {(n, sk): staged(sk_map(t, sk, spec.relations[n].potential_key())) for n, t in now.items() for sk in spec.relations[n].sks}
-        if all(m.isEmpty() for m in maps.values()):
+        maps = {(n, sk): staged(sk_map(t, sk, spec.relations[n].potential_key())) for n, t in now.items() if not spec.relations[n].declared_nk for sk in spec.relations[n].sks}
+        maps = {k: m for k, m in maps.items() if not m.isEmpty()}
+        if not maps:
             break
         if done == max_rounds:
             raise RuntimeError(f"fixpoint: keys still change after {max_rounds} rounds")
+        before, touched = dict(now), set()
         for (n, sk), m in maps.items():
             now[n] = apply_map(now[n], sk, m)
+            touched.add(n)
             total[n, sk] = staged(apply_map(total[n, sk], "rep", m).unionByName(m)) if (n, sk) in total else m
-        for f in spec.sfks():
-            now[f.source] = apply_map(now[f.source], f.columns[0], maps[f.target, f.target_columns[0]])
-        now = {n: staged(t) for n, t in now.items()}
+        for source, column, target in edges:
+            m = maps.get((target, next(f.target_columns[0] for f in spec.sfks() if (f.source, f.columns[0], f.target) == (source, column, target))))
+            if m is not None:
+                now[source] = apply_map(now[source], column, m)
+                touched.add(source)
+        for n in touched:
+            now[n] = staged(now[n])
+        if done:  # the tables of the first round are the caller's
+            discard(*(before[n] for n in touched))
+    for n, t in now.items():
+        for sk in spec.relations[n].sks:
+            total.setdefault((n, sk), t.select(F.col(sk).alias("sk"), F.col(sk).alias("rep")).limit(0))
     return Suppressed(Database(spec, now), total)
+
+
+def clean(db: Database, restricted: bool = False, lineage: bool = False) -> Suppressed:
+    """suppress() where the graph is free of cycles, or the graph of key columns is; fixpoint() where neither is."""
+    nodes = list(db.spec.relations)
+    if not restricted and not graph.cycles(nodes, graph.propagation_graph(db.spec)):
+        return suppress(db, False, lineage)
+    if not graph.cycles(nodes, graph.restricted(db.spec)):
+        return suppress(db, True, lineage)
+    return fixpoint(db, lineage=lineage)

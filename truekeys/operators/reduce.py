@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import types as T
 
+from ..functions.canon import fingerprint
 from ..plans.model import Database
 from .propagate import LINEAGE
 
@@ -11,7 +13,11 @@ from .propagate import LINEAGE
 def relation(df: DataFrame, sks: tuple[str, ...] = (), by_key: bool = False) -> DataFrame:
     """Distinct rows. by_key: by surrogate key alone, the cheaper way once the key decides all other columns."""
     df = df.drop(*(c for c in df.columns if c.startswith(LINEAGE)))
-    return df.dropDuplicates(list(sks)) if by_key and sks else df.distinct()
+    if by_key and sks:
+        return df.dropDuplicates(list(sks))
+    if any(isinstance(f.dataType, T.MapType) for f in df.schema):  # Spark compares no maps
+        return df.withColumn("_k", fingerprint(df, df.columns)).dropDuplicates(["_k"]).drop("_k")
+    return df.distinct()
 
 
 def database(db: Database) -> Database:

@@ -44,13 +44,18 @@ def conflict_groups(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame
     return groups.where("_a <> _b").select("_k", "_n")
 
 
+def conflict_rows(df: DataFrame, key: Key, attributes: list[str], extra: dict[str, Column] | None = None) -> DataFrame:
+    """_k, _n, the attributes and the extra columns of the rows in conflicting groups."""
+    extra = extra or {}
+    keyed = df.withColumn("_k", fingerprint(df, key)).select("_k", *attributes, *(c.alias(n) for n, c in extra.items()))
+    return keyed.join(conflict_groups(df, key, attributes), "_k")
+
+
 def conflict_values(df: DataFrame, key: Key, attributes: list[str], extra: dict[str, Column] | None = None) -> DataFrame:
     """_k, attribute, value (as text) of the rows in conflicting groups."""
     extra = extra or {}
-    keyed = df.withColumn("_k", fingerprint(df, key)).select("_k", *attributes, *(c.alias(n) for n, c in extra.items()))
-    rows = keyed.join(conflict_groups(df, key, attributes), "_k")
-    cells = F.array(*(F.struct(F.lit(a).alias("attribute"), _text(df, a).alias("value")) for a in attributes))
-    return rows.select("_k", "_n", *extra, F.inline(cells))
+    cells = F.array(*(F.struct(F.lit(a).alias("attribute"), text_of(df, a).alias("value")) for a in attributes))
+    return conflict_rows(df, key, attributes, extra).select("_k", "_n", *extra, F.inline(cells))
 
 
 def conflict_counts(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame:
@@ -61,9 +66,19 @@ def conflict_counts(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame
     return every.join(bad, "attribute", "left").select("attribute", F.coalesce("n_conflicts", F.lit(0).cast("long")).alias("n_conflicts"))
 
 
-def _text(df: DataFrame, a: str) -> Column:
-    kind = df.schema[a].dataType.simpleString()
-    return F.to_json(F.struct(F.col(a))) if kind.startswith(("array", "struct", "map")) else F.col(a).cast("string")
+#: Options under which nested values survive the way to JSON and back: microseconds are kept.
+NESTED = {"timestampFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSSXXX", "timestampNTZFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSS"}
+
+
+def text_of(df: DataFrame, a: str) -> Column:
+    """The attribute as text, alike for values that Spark groups as one."""
+    kind = df.schema[a].dataType
+    if isinstance(kind, T.MapType):
+        return F.to_json(F.map_from_entries(F.sort_array(F.map_entries(F.col(a)))), NESTED)
+    if isinstance(kind, T.ArrayType | T.StructType):
+        return F.to_json(F.col(a), NESTED)
+    own = F.col(a) + F.lit(0.0).cast(kind) if isinstance(kind, T.FloatType | T.DoubleType) else F.col(a)
+    return own.cast("string")
 
 
 def profile(df: DataFrame, key: Key, attributes: list[str]) -> DataFrame:

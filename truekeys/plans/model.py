@@ -96,7 +96,7 @@ class ExpertDecisions:
     stable: dict[str, list[str]] = field(default_factory=dict)
     unstable: dict[str, list[str]] = field(default_factory=dict)
     completing: dict[str, list[str]] = field(default_factory=dict)  # candidates for O, in order
-    rules: dict[str, dict[str, str]] = field(default_factory=dict)  # relation -> attribute -> rule
+    rules: dict[str, dict[str, str | dict]] = field(default_factory=dict)  # relation -> attribute -> rule, see chase.decided
     interest: list[str] = field(default_factory=list)
 
     def apply(self, spec: DatabaseSpec) -> DatabaseSpec:

@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 
 from ..operators import chase, decompose, profile, propagate, reduce, stability
 from .model import Database, ExpertDecisions
@@ -21,8 +22,13 @@ class Result:
     seconds: dict[str, float] = field(default_factory=dict)
 
 
-def run(db: Database, decisions: ExpertDecisions | None = None, restricted: bool = False, include_declared_nk: bool = False) -> Result:
-    """Profiles; suppression along the graph; stability, decomposition, chase and reduction. Blocks are materialised."""
+def run(db: Database, decisions: ExpertDecisions | None = None, restricted: bool = False, include_declared_nk: bool = False, functions: dict[str, Callable[[Column], Column]] | None = None) -> Result:
+    """Profiles; suppression along the graph; stability, chase, decomposition and reduction. Blocks are materialised.
+
+    A graph with cycles is cleaned over its key columns alone, or to a fixpoint where these are in a circle too.
+    functions: scores by name, for rules ``model``.  Ties of rules go to the row with the least surrogate key it had
+    before cleaning, and to the least value in relations without one.
+    """
     decisions = decisions or ExpertDecisions()
     db = Database(decisions.apply(db.spec), db.tables)
     if decisions.interest:
@@ -31,7 +37,7 @@ def run(db: Database, decisions: ExpertDecisions | None = None, restricted: bool
     profiles = staged(profile.rrp_database(db))
     seconds["profiles"], clock = time.perf_counter() - clock, time.perf_counter()
 
-    done = propagate.suppress(db, restricted, lineage=True)
+    done = propagate.clean(db, restricted, lineage=True)
     cleaned = Database(db.spec, {n: staged(t) for n, t in done.db.tables.items()})
     done.db = cleaned
     seconds["suppression"], clock = time.perf_counter() - clock, time.perf_counter()
@@ -44,20 +50,15 @@ def run(db: Database, decisions: ExpertDecisions | None = None, restricted: bool
         if (r.nk or (include_declared_nk and r.declared_nk)) and attributes:
             found = stability.classify(stability.profile(t, key, attributes), 0.0, decisions.stable.get(n, []), decisions.unstable.get(n, []))
             roles[n] = {x["attribute"]: x["role"] for x in found.collect()}  # one row an attribute
-        unstable = [a for a, x in roles.get(n, {}).items() if x == "AtbN"]
-        stable = [a for a in attributes if a not in unstable]
-        if unstable and n in decisions.completing:
-            own, past, _ = decompose.split(cleaned, n, stable, unstable, decisions.completing[n])
+        historised = [a for a, x in roles.get(n, {}).items() if x == "AtbN"] if n in decisions.completing else []
+        if historised:
+            past = decompose.split(cleaned, n, [a for a in attributes if a not in historised], historised, decisions.completing[n])[1]
             out[f"{n}_history"] = staged(past)
-            t = t.drop(*unstable)
-        elif unstable:
-            stable = attributes  # no history was asked for: conflicts are resolved where they are
-        conflicting = [a for a in stable if a in roles.get(n, {})]
-        order = propagate.LINEAGE + r.sks[0] if r.sks and propagate.LINEAGE + r.sks[0] in t.columns else None
-        if conflicting and order:
-            rule = decisions.rules.get(n, {})
-            for name in dict.fromkeys(rule.get(a, "majority") for a in conflicting):
-                t = chase.resolve(t, key, [a for a in conflicting if rule.get(a, "majority") == name], order, name)
+        conflicting = [a for a in attributes if a in roles.get(n, {}) and a not in historised]  # no history of theirs was asked for
+        if conflicting:
+            order = propagate.LINEAGE + r.sks[0] if r.sks and propagate.LINEAGE + r.sks[0] in t.columns else None
+            t = chase.decided(t, key, conflicting, order, decisions.rules.get(n, {}), functions or {})
+        t = t.drop(*historised)
         out[n] = staged(reduce.relation(t, r.sks))
     seconds["normalise and reduce"] = time.perf_counter() - clock
     return Result(Database(db.spec, out), done, profiles, roles, {k: round(v, 3) for k, v in seconds.items()})
