@@ -116,11 +116,14 @@ def arp_json_events(spark: SparkSession, folder: str) -> DataFrame:
     return profile.arp(t(spark, folder, "events").select(F.get_json_object("props", "$.k").alias("k")), "k")
 
 
-@query("arp_approx_lineitem")
+@query("arp_approx_lineitem", "select 'l_orderkey' as attribute, count(*) as n, count(*) - count(l_orderkey) as nv, true as near, true as merged_near from lineitem")
 def arp_approx_lineitem(spark: SparkSession, folder: str) -> DataFrame:
+    """The sketched profile, and whether it and a sketch merged from groups lie within 5 % of the exact count."""
     d = t(spark, folder, "lineitem")
-    sketch = d.groupBy("l_returnflag").agg(F.hll_sketch_agg("l_orderkey").alias("s")).agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("merged_dv"))
-    return profile.arp(d, "l_orderkey", rsd=0.01).crossJoin(sketch)  # one row each
+    sketch = d.groupBy("l_returnflag").agg(F.hll_sketch_agg("l_orderkey").alias("s")).agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("merged"))
+    both = profile.arp(d, "l_orderkey", rsd=0.01).crossJoin(sketch).crossJoin(profile.arp(d, "l_orderkey").select(F.col("dv").alias("exact")))  # one row each
+    within = lambda c: F.abs(F.col(c) - F.col("exact")) <= 0.05 * F.col("exact")
+    return both.select("attribute", "n", "nv", within("dv").alias("near"), within("merged").alias("merged_near"))
 
 
 @query("rrp_layout_orders", f"select attribute, n, dv, nv, ov, category, cast(row_number() over (order by case category when 'K' then 1 when 'RA' then 2 else 3 end, dv desc, attribute) as int) as position from (select *, case attribute when 'o_orderkey' then 'K' when 'o_custkey' then 'FK' else 'RA' end as category from ({rrp_sql('orders')}))")

@@ -47,8 +47,8 @@ ref_nation as (select p.new_id, p.n_name, m.rep as n_regionkey from poll_nation
 map_nation as (select new_id as old, min(new_id) over (partition by n_name, n_regionkey) as rep from ref_nation),
 ref as (select d.new_id as orig, d.c_custkey, d.c_name, m.rep as c_nationkey, d.c_acctbal, d.c_mktsegment from drift d left join map_nation m on d.c_nationkey = m.old),
 cust as (select min(orig) over (partition by c_name, c_nationkey) as new_id, * from ref),
-ord as (select o.o_orderkey, o.o_custkey as orig, o.o_orderdate from poll_orders o),
-full_history as (select distinct c.new_id, c.c_name, c.c_nationkey, o.o_orderdate, c.c_acctbal from cust c join ord o on c.orig = o.orig)
+ord as (select o.new_id, o.o_orderkey, o.o_custkey as orig, o.o_orderdate from poll_orders o),
+full_history as (select distinct c.new_id, c.c_name, c.c_nationkey, o.o_orderdate, c.c_acctbal from cust c left join ord o on c.orig = o.orig)
 """
 
 
@@ -136,17 +136,17 @@ def _one_a_day(spark: SparkSession, folder: str) -> DataFrame:
     return _history(spark, folder).groupBy("new_id", "o_orderdate").agg(F.min("c_acctbal").alias("c_acctbal"))
 
 
-@query("history_compacted_customer", _DRIFTED + _ONE + "select new_id, o_orderdate, c_acctbal from (select *, lag(c_acctbal) over w as before, row_number() over w as r from one_a_day window w as (partition by new_id order by o_orderdate)) where r = 1 or before is distinct from c_acctbal")
+@query("history_compacted_customer", _DRIFTED + _ONE + "select new_id, o_orderdate, c_acctbal from (select *, lag(c_acctbal) over w as before, row_number() over w as r from one_a_day window w as (partition by new_id order by o_orderdate nulls first)) where r = 1 or before is distinct from c_acctbal")
 def history_compacted_customer(spark: SparkSession, folder: str) -> DataFrame:
     return decompose.compacted(_one_a_day(spark, folder), "new_id", "o_orderdate", ["c_acctbal"])
 
 
-@query("history_validity", _DRIFTED + _ONE + "select new_id, o_orderdate as valid_from, lead(o_orderdate) over (partition by new_id order by o_orderdate) as valid_to, c_acctbal from one_a_day")
+@query("history_validity", _DRIFTED + _ONE + "select new_id, o_orderdate as valid_from, lead(o_orderdate) over (partition by new_id order by o_orderdate nulls first) as valid_to, c_acctbal from one_a_day")
 def history_validity(spark: SparkSession, folder: str) -> DataFrame:
     return decompose.validity(_one_a_day(spark, folder), "new_id", "o_orderdate")
 
 
-@query("history_array_customer", _DRIFTED + _ONE + "select new_id, count(*) as n_versions, array_to_string(list(cast(round(c_acctbal, 2) as varchar) order by o_orderdate), ';') as versions from (select new_id, o_orderdate, cast(c_acctbal as decimal(18,2)) as c_acctbal from one_a_day) group by new_id")
+@query("history_array_customer", _DRIFTED + _ONE + "select new_id, count(*) as n_versions, array_to_string(list(cast(round(c_acctbal, 2) as varchar) order by o_orderdate nulls first), ';') as versions from (select new_id, o_orderdate, cast(c_acctbal as decimal(18,2)) as c_acctbal from one_a_day) group by new_id")
 def history_array_customer(spark: SparkSession, folder: str) -> DataFrame:
     own = _one_a_day(spark, folder).withColumn("c_acctbal", F.col("c_acctbal").cast("decimal(18,2)"))
     grouped = own.groupBy("new_id").agg(F.count(F.lit(1)).alias("n_versions"), F.array_sort(F.collect_list(F.struct("o_orderdate", "c_acctbal"))).alias("h"))
@@ -174,13 +174,12 @@ _PICKS = {
     "max": "c_mktsegment desc",
     "first": "f",
     "longest": "length(c_mktsegment) desc, c_mktsegment desc",
-    "latest": "o desc, c_mktsegment desc",
     "validated": "case when c_mktsegment <> 'DRIFTED' then 0 else 1 end, c desc, f",
 }
 
 
 def chase_sql(order: str) -> str:
-    per = "select c_name, c_nationkey, c_mktsegment, count(*) as c, min(orig) as f, max(cast(c_acctbal as varchar)) as o from cust group by all"
+    per = "select c_name, c_nationkey, c_mktsegment, count(*) as c, min(orig) as f from cust group by all"
     return _DRIFTED + f"select c.orig as orig_id, c.new_id, b.v as c_mktsegment from cust c join (select c_name, c_nationkey, first(c_mktsegment order by {order}) as v from ({per}) group by all) b on c.c_name = b.c_name and c.c_nationkey = b.c_nationkey"
 
 
@@ -189,17 +188,10 @@ for _rule, _order in _PICKS.items():
     @query("chase_customer_segment" if _rule == "majority" else f"chase_rule_{_rule}", chase_sql(_order))
     def _chase(spark: SparkSession, folder: str, rule: str = _rule) -> DataFrame:
         c = drifted(spark, folder).tables["customer"]
-        latest = c.withColumn("_o", F.col("c_acctbal").cast("string")) if rule == "latest" else c
-        out = chase.resolve(latest, KEY, ["c_mktsegment"], "__orig_new_id", rule, "_o" if rule == "latest" else None, "value <> 'DRIFTED'")
+        out = chase.resolve(c, KEY, ["c_mktsegment"], "__orig_new_id", rule, None, "value <> 'DRIFTED'")
         return out.select(F.col("__orig_new_id").alias("orig_id"), "new_id", "c_mktsegment")
 
 
-# the order by c_acctbal as text differs between engines in how doubles print; the rule is checked on dates instead
-from .registry import ORACLES, QUERIES  # noqa: E402
-
-del QUERIES["chase_rule_latest"], ORACLES["chase_rule_latest"]
-
-
 @query("chase_rule_latest", "with p as (select o_orderkey, o_custkey, o_orderdate, o_orderpriority from orders), b as (select o_custkey, first(o_orderpriority order by d desc, o_orderpriority desc) as v from (select o_custkey, o_orderpriority, max(o_orderdate) as d from p group by all) group by o_custkey) select p.o_orderkey, p.o_custkey, b.v as o_orderpriority from p join b on p.o_custkey = b.o_custkey")
 def chase_rule_latest(spark: SparkSession, folder: str) -> DataFrame:
     o = t(spark, folder, "orders").select("o_orderkey", "o_custkey", "o_orderdate", "o_orderpriority")
@@ -224,7 +216,7 @@ def chase_rule_expert(spark: SparkSession, folder: str) -> DataFrame:
     return chase.resolve_by_list(c, KEY, "c_mktsegment", chosen, "__orig_new_id").select(F.col("__orig_new_id").alias("orig_id"), "c_mktsegment")
 
 
-@query("chase_rule_model")
+@query("chase_rule_model", chase_sql("len(list_distinct(string_split(c_mktsegment, ''))) desc, c_mktsegment"))
 def chase_rule_model(spark: SparkSession, folder: str) -> DataFrame:
     """A caller's vectorised score decides: here, how many distinct letters a value has."""
 
@@ -233,7 +225,7 @@ def chase_rule_model(spark: SparkSession, folder: str) -> DataFrame:
         return v.map(lambda x: float(len(set(x))))
 
     c = drifted(spark, folder).tables["customer"]
-    return chase.resolve_by_model(c, KEY, "c_mktsegment", score(F.col("value")), "__orig_new_id").select(F.col("__orig_new_id").alias("orig_id"), "c_mktsegment")
+    return chase.resolve_by_model(c, KEY, "c_mktsegment", score(F.col("value")), "__orig_new_id").select(F.col("__orig_new_id").alias("orig_id"), "new_id", "c_mktsegment")
 
 
 @query("chase_star_report", _DRIFTED + "select 'customer' as relation, attribute, cast(n as bigint) as n_conflicts from (select 'c_acctbal' as attribute, count(*) as n from (select 1 from cust group by c_name, c_nationkey having count(distinct c_acctbal) > 1) union all select 'c_mktsegment', count(*) from (select 1 from cust group by c_name, c_nationkey having count(distinct c_mktsegment) > 1))")
@@ -265,12 +257,15 @@ def reduction_rate_star(spark: SparkSession, folder: str) -> DataFrame:
 
 
 def _constraints() -> str:
-    rows = []
-    for n in ORDER:
-        rows += [f"('{n}', 'primary', 'new_id', true)", f"('{n}', 'unique', '{'+'.join(NKS[n])}', true)", f"('{n}', 'not null', 'new_id', true)"]
     from .registry import FKS
 
-    return f"select * from (values {', '.join(rows + [f"('{a}', 'foreign', '{c}', true)" for a, c, _ in FKS])}) v(relation, kind, columns, holds)"
+    unique = lambda n, kind, key: f"select '{n}' as relation, '{kind}' as kind, '{'+'.join(key)}' as columns, not exists (select 1 from done_{n} group by {', '.join(key)} having count(*) > 1) as holds"
+    parts = []
+    for n in ORDER:
+        parts += [unique(n, "primary", ("new_id",)), unique(n, "unique", NKS[n]), f"select '{n}', 'not null', 'new_id', not exists (select 1 from done_{n} where new_id is null)"]
+    parts += [f"select '{a}', 'foreign', '{c}', not exists (select 1 from done_{a} where {c} is not null and {c} not in (select new_id from done_{b}))" for a, c, b in FKS]
+    done = ", ".join(f"done_{n} as (select distinct new_id, {', '.join(COLUMNS[n])} from clean_{n})" for n in ORDER)
+    return with_clean("select 1").removesuffix("select 1") + ", " + done + " " + " union all ".join(parts)
 
 
 @query("constraints_after_clean", _constraints())
@@ -296,7 +291,7 @@ def au_pages_canon(spark: SparkSession, folder: str) -> DataFrame:
     return metrics.au(t(spark, folder, "pages").withColumn("u", canon.url(F.col("url"))), "page_id", ["u"])
 
 
-@query("match_part_names")
+@query("match_part_names", "with recursive k as materialized (select p_brand, p_name, min(p_partkey) as k from part group by all), e as materialized (select a.k as a, b.k as b from k a join k b on a.p_brand = b.p_brand and a.k < b.k and levenshtein(a.p_name, b.p_name) <= 2 union select k, p_partkey from part join k using (p_brand, p_name) where p_partkey <> k), g as (select a, b from e union select b, a from e), w(node, root) as (select a, a from g union select g.b, w.root from w join g on g.a = w.node where w.root < g.b), roots as (select node, min(root) as root from w group by node) select p_partkey as sk, coalesce(root, p_partkey) as rep from part left join roots on node = p_partkey")
 def match_part_names(spark: SparkSession, folder: str) -> DataFrame:
     p = t(spark, folder, "part")
     pairs = matching.candidate_pairs(p, "p_partkey", F.col("p_brand"), "p_name", lambda a, b: F.levenshtein(a, b) <= 2)
