@@ -139,43 +139,78 @@ def test_line_dedup_repeated_ids_and_nulls(spark):
     assert sorted(((r.doc_id or 0), r.n_dropped) for r in line_dedup.line_dedup(df).collect()) == [(0, 1), (3, 1), (7, 0), (7, 0)]
 
 
-def test_line_index_is_reversible(spark, docs):
-    show = lambda ix: sorted((r["_shard"], r["_block"], bytes(r.c0), bytes(r.c1), bytes(r.c2)) for r in ix.collect())
+def test_line_index_is_reversible(spark, docs, texts):
+    show = lambda ix: sorted((r["_shard"], bytes(r["filter"]), bytes(r["refs"])) for r in ix.collect())
     plain = docs.select("doc_id", "text")
+    some = plain.where("doc_id % 3 = 0")
     before = plain.where("doc_id % 3 <> 0")
     index = line_dedup.build_index(before, 8, 4)
-    more = line_dedup.update_index(index, plain, plain.where("doc_id % 3 = 0"), 8, 4)
+    more = line_dedup.update_index(index, plain, some, 8, 4)
     assert show(more) == show(line_dedup.build_index(plain, 8, 4)) != show(index)
-    assert show(line_dedup.update_index(more, before, plain.where("doc_id % 3 = 0"), 8, 4)) == show(index)
+    assert show(line_dedup.update_index(more, before, some, 8, 4)) == show(index)
+    assert show(line_dedup.update_index(index, plain.limit(0), before, 8, 4)) == []
+    got = {r.doc_id: r.kept_text for r in line_dedup.dedup_with(more, plain, 8).collect()}
+    assert got == brute_lines(texts)
 
 
 def test_cuckoo_filter_never_forgets_and_deletes():
     rng = np.random.default_rng(1)
     h = rng.integers(0, 1 << 63, 20_000, dtype=np.uint64)
     f = line_dedup.CuckooFilter(len(h))
-    f.insert(h[:15_000])
-    f.insert(h[15_000:])
+    assert f.insert(h[:15_000]) and f.insert(h[15_000:])
     assert f.contains(h).all()
     other = rng.integers(0, 1 << 63, 20_000, dtype=np.uint64)
     assert f.contains(other).mean() < 0.01
     f.delete(h[:10_000])
-    assert f.contains(h[10_000:]).all() and f.contains(h[:10_000]).mean() < 0.01
-    tight = line_dedup.CuckooFilter(8)  # far too small: what finds no place is kept aside
-    tight.insert(h[:500])
-    assert tight.contains(h[:500]).all()
+    assert f.contains(h[10_000:]).all() and f.contains(h[:10_000]).mean() < 0.01 and f.size == 10_000
+    assert not line_dedup.CuckooFilter(8).fits(500) and not line_dedup.CuckooFilter(8).insert(h[:500])
+    a, b = line_dedup.CuckooFilter(20_000), line_dedup.CuckooFilter(20_000)
+    assert a.insert(h) and b.insert(h[::-1]) and (a.table == b.table).all()
+
+
+def refs_of(rows):
+    out = np.zeros(len(rows), line_dedup.REFERENCE)
+    for i, (key, *rest) in enumerate(rows):
+        out[i] = (key.to_bytes(16, "little"), *rest)
+    return out
 
 
 def test_line_shard_counts_by_block():
     shard = line_dedup.LineShard()
-    keys = np.zeros(3, line_dedup.KEY)
-    keys["a"], keys["b"] = [5, 5, 9], [1, 1, 1]
-    refs = np.array([(2, 10), (1, 30), (1, 4)], line_dedup.REF)
-    shard.insert(np.array([0, 1, 0]), keys, refs)
-    assert shard.common(3)[2].tolist() == [30, 30]
-    shard.replace(1, keys[:0], refs[:0])
+    shard.insert(refs_of([(5, 0, 2, 10), (9, 0, 1, 4)]))
+    shard.insert(refs_of([(5, 1, 1, 30)]))
+    assert shard.common(3)[2].tolist() == [30, 30] and len(shard.solo) == 1 and len(shard.table) == 2
+    shard.delete(np.array([1]))
     assert len(shard.common(3)[1]) == 0 and shard.common(2)[2].tolist() == [10]
 
 
+def test_line_shard_goes_through_its_filter():
+    rng = random.Random(8)
+    shard, held = line_dedup.LineShard(), collections.defaultdict(dict)
+    for block in range(40):  # grows from the smallest filter
+        rows = [(rng.getrandbits(120) if rng.random() < 0.8 else rng.randrange(50), block, rng.randint(1, 3), rng.randrange(10**6)) for _ in range(300)]
+        rows = list({r[0]: r for r in rows}.values())
+        shard.insert(refs_of(rows))
+        for key, b, n, last in rows:
+            held[key][b] = (n, last)
+    assert shard.filter.contains(line_dedup._hash(shard.keys())).all() and shard.filter.size == len(held)
+    assert shard.spared > 0.75 * (shard.spared + shard.looked_up)  # lines that occur once are never looked up
+    before = shard.state()
+    extra = [(k, 99, 1, 7) for k in [*list(held)[:500], *range(10**6, 10**6 + 500)]]
+    shard.insert(refs_of(extra))
+    assert shard.state() != before
+    shard.delete(np.array([99]))
+    assert shard.state() == before and line_dedup.LineShard.of(before).state() == before
+    for gone in ([3, 7], list(range(10, 40))):
+        shard.delete(np.array(gone))
+        held = {k: kept for k, v in held.items() if (kept := {b: x for b, x in v.items() if b not in gone})}
+        want = {(b, k.to_bytes(16, "little")): max(x[1] for x in v.values()) for k, v in held.items() if sum(x[0] for x in v.values()) >= 3 for b in v}
+        blocks, keys, last = shard.common(3)
+        raw = np.ascontiguousarray(keys).tobytes()
+        assert {(int(b), raw[16 * i : 16 * i + 16]): int(x) for i, (b, x) in enumerate(zip(blocks, last))} == want
+        assert shard.filter.size == len(held)
+
+
 def test_substring_dedup(docs, texts):
     got = {r.doc_id: r for r in substring_dedup.substring_dedup(docs).collect()}
     assert {i: (r.n_words, r.n_removed, r.kept_words) for i, r in got.items()} == brute_windows(texts, 20)

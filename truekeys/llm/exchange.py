@@ -4,7 +4,7 @@ Three of the operators ask one question of the whole corpus: "which of my keys (
 coordinates) also occur elsewhere, and where first?".  They answer it with the same three steps, which keep a hot key
 harmless and move few bytes:
 
-1. documents are dealt into blocks by a hash of ``doc_id``; a block folds its own repeats, so that a key which a third
+1. documents are dealt into blocks by a hash of ``doc_id`` and text; a block folds its own repeats, so that a key which a third
    of all documents hold costs one posting a block, not one a document;
 2. postings travel as packed numpy columns, one row for each (block, key shard), and a shard decides on its keys;
 3. verdicts travel back to the block, which is cogrouped with its documents.  Every pass reads the documents from the
@@ -22,25 +22,32 @@ from pyspark.sql import functions as F
 
 from ..plans.staging import staged as staged  # noqa: PLC0414  the operators take it from here
 
-#: Documents in one block, and documents whose postings one key shard receives, on average.
-BLOCK_ROWS, SHARD_ROWS = 1024, 4096
+#: Documents in one block, and documents whose postings one key shard receives, on average; bytes of a block's texts.
+BLOCK_ROWS, SHARD_ROWS, BLOCK_BYTES = 1024, 4096, 24_000_000
 POSTING = "_shard int, _block int, c0 binary, c1 binary, c2 binary"
 
 
 def counts(docs: DataFrame) -> tuple[int, int]:
-    """(blocks, shards) for the number of rows.
+    """(blocks, shards) for the number of rows and the bytes of their texts.
 
-    Both grow with the input, so what a task holds stays bounded.  A block reaches as many shards as it has keys at
-    most, so with many shards its packed rows get short; from 4 million rows on, blocks grow up to 8-fold and shards up
-    to 16-fold (some 30 MB of text and 50 MB of postings) to keep them worth packing.
+    Both grow with the input, so what a task holds stays bounded: a block has ``BLOCK_ROWS`` documents or ``BLOCK_BYTES``
+    of text on average, whichever is less.  A block reaches as many shards as it has keys at most, so with many shards
+    its packed rows get short; from 4 million rows on, blocks grow up to 8-fold in rows (never in bytes) and shards up
+    to 16-fold to keep them worth packing.
     """
-    n = docs.count()
+    own = F.octet_length("text").cast("long") if "text" in docs.columns else F.lit(0)
+    n, size = docs.agg(F.count(F.lit(1)), F.sum(own)).first()
     factor = max(1.0, math.sqrt(n / 4_000_000))
-    return max(1, math.ceil(n / (BLOCK_ROWS * min(8.0, factor)))), max(1, math.ceil(n / (SHARD_ROWS * min(16.0, factor))))
+    blocks = max(math.ceil(n / (BLOCK_ROWS * min(8.0, factor))), math.ceil((size or 0) / BLOCK_BYTES))
+    return max(1, blocks), max(1, math.ceil(n / (SHARD_ROWS * min(16.0, factor))), math.ceil((size or 0) / (4 * BLOCK_BYTES)))
 
 
-def with_block(docs: DataFrame, blocks: int, key: str = "doc_id") -> DataFrame:
-    return docs.withColumn("_block", F.pmod(F.xxhash64(key), F.lit(blocks)).cast("int"))
+def with_block(docs: DataFrame, blocks: int, by: tuple[str, ...] = ("doc_id", "text")) -> DataFrame:
+    """docs with a block that depends on id and text, so that one id (or none) is no hot block.
+
+    Only rows that are alike in both meet in one block whatever their number.
+    """
+    return docs.withColumn("_block", F.pmod(F.xxhash64(*by), F.lit(blocks)).cast("int"))
 
 
 def carried(docs: DataFrame, keep: bool) -> tuple[DataFrame, list[str], str]:

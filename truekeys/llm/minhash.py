@@ -113,7 +113,7 @@ def coordinate_keys(sigs: np.ndarray) -> np.ndarray:
 def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
     """reps(doc_id, n, sig) -> key, freq, doc, n, sketch: the rarest shared keys of every representative."""
     blocks, shards = counts(reps)
-    dealt = with_block(reps.select("doc_id", "n", "sig"), blocks)
+    dealt = with_block(reps.select("doc_id", "n", "sig"), blocks, ("doc_id", "sig"))
     by_block = dealt.groupBy("_block")
 
     def count_keys(table: pa.Table) -> pa.Table:
@@ -274,7 +274,7 @@ def confirmed_across(docs: DataFrame, postings: DataFrame, labels: DataFrame, p:
     requests = across(mixed, p, shards, blocks).groupBy("block", "x").agg(F.collect_list("ys").alias("ys"))  # as many as x has lists
     texts = _needed(docs, ids)
     asked = requests.join(texts.select(F.col("doc_id").alias("x"), F.col("text").alias("own")), "x").select("block", "x", "own", "ys")
-    there = with_block(texts, blocks).select(F.col("_block").alias("block"), F.col("doc_id").alias("doc"), F.col("text").alias("body"))
+    there = with_block(texts, blocks, ("doc_id",)).select(F.col("_block").alias("block"), F.col("doc_id").alias("doc"), F.col("text").alias("body"))
 
     def run(there: pa.Table, asked: pa.Table) -> pa.Table:
         sets: dict[int, list[np.ndarray]] = {}
