@@ -227,7 +227,7 @@ def test_difference_cover_must_cover():
         substring_dedup.Cover(anchor=9)
 
 
-@pytest.mark.parametrize("settings", [minhash.MinHash(), minhash.MinHash(shingle=5, list_rows=8, fan_out=3)])
+@pytest.mark.parametrize("settings", [minhash.MinHash(), minhash.MinHash(shingle=5, coords=64, matches=36, list_rows=8, fan_out=3)])
 def test_near_duplicates(docs, texts, settings):
     got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(docs, settings).collect()}
     want = brute_near(texts, settings.shingle, 80)

@@ -7,19 +7,22 @@ and two of them are candidates if at least ``matches`` coordinates collide.
 Prefix merging: with pairs ordered by ascending frequency, two signatures that collide in t of k coordinates share one
 of the k - t + 1 rarest pairs of each, so only these are posted, and pairs that occur once need no posting at all.
 Skip merging: the frequent lists left out are not merged; for the candidates that the short lists bring up, collisions
-are counted on sketches (the low byte of every coordinate, which never undercounts).  Lists that remain long belong to
-groups of near copies and are split by salt.
+are counted on sketches (one byte of each of ``sketch`` coordinates, the posted ones among them, which never undercounts)
+and ``alike`` of them are asked for.  Lists that remain long belong to groups of near copies and are split by salt.
 
 Only connections matter, so a list proposes a tree over its similar members, not all pairs.  Proposals are confirmed on
 the full shingle sets.  A second round then looks for links between different components: every pair in a list whose
 members are in different components is counted, and those that collide enough are confirmed, so no link between
 components is lost.  There a document that stands apart meets the members of a group block by block, one row for each
-block with the numbers of its members, and one link to a component is enough; pairs are never written out.
-
-A link needs 100 * intersection >= percent * union; at exactly 0.8, 64 coordinates miss the 36 matches with a
-probability below 1e-5.  Defined results: a text without words has an empty set and no links; fewer words than a
-shingle are one shingle; rows that repeat a doc_id are one node with the links of all of them; a null doc_id sorts
-first; other columns are ignored.
+block with the numbers of those that collide enough, and one link to a component is enough.  What is written grows with
+the pairs that collide often enough without being linked: texts nearly similar enough.  The longer sketch leaves few of
+them (one pair in a thousand at a similarity of 0.59), but a large group of texts at 0.7 or more to each other and no
+link among them still costs a row for each pair.
+
+A link needs 100 * intersection >= percent * union; at exactly 0.8, a link is missed with a probability of about 1e-5.
+Defined results: a text without words has an empty set and no links; fewer words than a shingle are one shingle; rows
+that repeat a doc_id are one node with the links of all of them; a null doc_id sorts first, as the least 64-bit integer
+does, and rows without one are one node; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -35,7 +38,7 @@ from pyspark.sql import functions as F
 from xxhash import xxh3_128_intdigest, xxh64_intdigest
 
 from ..operators.components import connected_components
-from .exchange import POSTING, counts, empty, packed, scatter, staged, unpacked, with_block
+from .exchange import BLOCK_BYTES, POSTING, counts, empty, packed, scatter, staged, unpacked, with_block
 from .text import mix, windows, word_hashes, words
 
 NO_ID = -(1 << 63)
@@ -47,8 +50,10 @@ BROADCAST_IDS = 1_000_000
 class MinHash:
     shingle: int = 4
     percent: int = 80
-    coords: int = 64
-    matches: int = 36
+    coords: int = 128
+    matches: int = 81
+    sketch: int = 256
+    alike: int = 176
     list_rows: int = 2048
     fan_out: int = 32
 
@@ -57,10 +62,10 @@ class MinHash:
         return self.coords - self.matches + 1
 
     def parameters(self) -> tuple[np.ndarray, np.ndarray]:
-        n = np.arange(2 * self.coords, dtype=np.uint64)
+        n = np.arange(2 * self.sketch, dtype=np.uint64)
         with np.errstate(over="ignore"):
-            r = mix((n + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15))
-        return r[: self.coords] | np.uint64(1), r[self.coords :]
+            r = (mix((n + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(32)).astype(np.uint32)
+        return r[: self.sketch] | np.uint32(1), r[self.sketch :]
 
 
 def shingles(text: str | None, width: int) -> np.ndarray:
@@ -75,11 +80,26 @@ def shingles(text: str | None, width: int) -> np.ndarray:
 
 
 def signature(own: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    low = np.full(len(a), np.iinfo(np.uint64).max, np.uint64)
+    """The minima of as many permutations of the (upper 32 bits of the) hashes."""
+    x, low = (own >> np.uint64(32)).astype(np.uint32), np.full(len(a), np.iinfo(np.uint32).max, np.uint32)
     with np.errstate(over="ignore"):
-        for at in range(0, len(own), 2048):
-            np.minimum(low, (own[at : at + 2048, None] * a + b).min(0), out=low)
-    return (low >> np.uint64(32)).astype("<u4")
+        for at in range(0, len(x), 512):
+            part = x[at : at + 512, None] * a
+            part += b
+            np.minimum(low, part.min(0), out=low)
+    return low
+
+
+def _packed_signature(low: np.ndarray, p: MinHash) -> bytes:
+    """The posted coordinates in full, and one byte of each other one."""
+    return low[: p.coords].astype("<u4").tobytes() + (low[p.coords :] & 255).astype("u1").tobytes()
+
+
+def _unpacked_signatures(column: pa.ChunkedArray, p: MinHash) -> tuple[np.ndarray, np.ndarray]:
+    """(posted coordinates, sketches of one byte for every coordinate), a row for each signature."""
+    raw = _matrix(column, "u1", 4 * p.coords + p.sketch - p.coords)
+    sigs = np.ascontiguousarray(raw[:, : 4 * p.coords]).view("<u4")
+    return sigs, np.concatenate([(sigs & 255).astype("u1"), raw[:, 4 * p.coords :]], axis=1)
 
 
 def signatures(docs: DataFrame, p: MinHash) -> DataFrame:
@@ -95,7 +115,7 @@ def signatures(docs: DataFrame, p: MinHash) -> DataFrame:
                 n.append(len(own))
                 ha.append((wide >> 64) - (1 << 63))
                 hb.append((wide & (1 << 64) - 1) - (1 << 63))
-                sig.append(signature(own, a, b).tobytes() if len(own) else None)
+                sig.append(_packed_signature(signature(own, a, b), p) if len(own) else None)
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0), "n_shingles": pa.array(n, pa.int64()), "ha": pa.array(ha, pa.int64()), "hb": pa.array(hb, pa.int64()), "sig": pa.array(sig, pa.binary())})
 
     return docs.mapInArrow(run, "doc_id long, n_shingles long, ha long, hb long, sig binary")
@@ -117,7 +137,7 @@ def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
     by_block = dealt.groupBy("_block")
 
     def count_keys(table: pa.Table) -> pa.Table:
-        keys, n = np.unique(coordinate_keys(_matrix(table.column("sig"), "<u4", p.coords)), return_counts=True)
+        keys, n = np.unique(coordinate_keys(_unpacked_signatures(table.column("sig"), p)[0]), return_counts=True)
         return scatter(table.column("_block")[0].as_py(), keys, [keys, n.astype("<u4")], shards)
 
     def total(table: pa.Table) -> pa.Table:
@@ -134,7 +154,7 @@ def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
         _, (known, f) = unpacked(verdict, ["<u8", "<u4"], "_block")
         order = np.argsort(known)
         known, f = known[order], f[order]
-        sigs = _matrix(table.column("sig"), "<u4", p.coords)
+        sigs, own = _unpacked_signatures(table.column("sig"), p)
         keys = coordinate_keys(sigs)
         freq = np.ones(keys.shape, np.int64)
         if len(known):
@@ -145,7 +165,7 @@ def prefix_postings(reps: DataFrame, p: MinHash) -> DataFrame:
         col = rank.ravel()
         shared = freq[row, col] > 1
         row, col = row[shared], col[shared]
-        sketch = [x.tobytes() for x in (sigs & 255).astype("u1")]
+        sketch = [x.tobytes() for x in own]
         docs, n = table.column("doc_id").to_numpy(), table.column("n").to_numpy()
         return _postings(keys[row, col].view(np.int64), freq[row, col], docs[row], n[row], [sketch[i] for i in row])
 
@@ -172,7 +192,7 @@ class _Members:
 
     def __init__(self, table: pa.Table, p: MinHash) -> None:
         self.p = p
-        self.sketch, self.docs, self.size = _matrix(table.column("sketch"), "u1", p.coords), table.column("doc").to_numpy(), table.column("n").to_numpy()
+        self.sketch, self.docs, self.size = _matrix(table.column("sketch"), "u1", p.sketch), table.column("doc").to_numpy(), table.column("n").to_numpy()
 
     def collisions(self, rows: np.ndarray, other: np.ndarray) -> np.ndarray:
         """Collisions of each row with the other (one, or one each); 0 where the set sizes rule a link out."""
@@ -199,10 +219,10 @@ def trees(postings: DataFrame, p: MinHash, shards: int) -> DataFrame:
         for alive in _lists(table):
             while len(alive) > 1:
                 n = own_rows.collisions(alive, alive[0])
-                n[0] = p.coords
-                own, alive = alive[n >= p.matches], alive[n < p.matches]
+                n[0] = p.sketch
+                own, alive = alive[n >= p.alike], alive[n < p.alike]
                 up = own[np.maximum(np.arange(len(own)) - 1, 0) // p.fan_out]
-                up = np.where(own_rows.collisions(own, up) >= p.matches, up, own[0])
+                up = np.where(own_rows.collisions(own, up) >= p.alike, up, own[0])
                 n = own_rows.collisions(own, up)
                 found.update(((x, y), k) for x, y, k in zip(docs[up[1:]].tolist(), docs[own[1:]].tolist(), n[1:].tolist(), strict=True) if x != y)
         return _pairs([(x, y, k) for (x, y), k in found.items()])
@@ -220,29 +240,42 @@ def block_of(doc: int, blocks: int) -> int:
 
 
 def mixed_lists(postings: DataFrame, labels: DataFrame, p: MinHash) -> DataFrame:
-    """Postings of the lists with members of different components, with root (component) and part.
+    """Postings of the lists with members of different components: root (component), minor, home and part.
 
-    Of a list split by salt, members of its most frequent component stay in their part, the others go to every part.
+    A list of any length is split into parts by salt, in the join as well.  Members of its most frequent component stay
+    in their home part; the others (minor) go to every part, where they meet the members that live there.
     """
-    marked = postings.join(labels.select(F.col("node").alias("doc"), "root"), "doc", "left").withColumn("root", F.coalesce("root", "doc"))
-    mixed = marked.groupBy("key", "root").count().groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("major"), F.count(F.lit(1)).alias("n_roots")).where("n_roots > 1")
-    rows = marked.join(mixed.select("key", "major"), "key")
     parts = F.ceil(F.col("freq") / p.list_rows).cast("int")
-    own = F.pmod(F.xxhash64("doc", "key"), parts).cast("int")
-    spread = F.explode(F.when(F.col("root") == F.col("major"), F.array(own)).otherwise(F.sequence(F.lit(0), parts - 1)))
-    return rows.withColumn("part", spread).select("key", "doc", "n", "sketch", "root", "part")
+    marked = postings.join(labels.select(F.col("node").alias("doc"), "root"), "doc", "left").withColumn("root", F.coalesce("root", "doc"))
+    per_root = marked.groupBy("key", "root").agg(F.count(F.lit(1)).alias("count"), F.max("freq").alias("freq"))
+    mixed = per_root.groupBy("key").agg(F.max_by("root", F.struct("count", "root")).alias("major"), F.count(F.lit(1)).alias("n_roots"), F.max("freq").alias("freq")).where("n_roots > 1")
+    salted = mixed.select("key", "major", F.explode(F.sequence(F.lit(0), parts - 1)).alias("home"))
+    rows = marked.withColumn("home", F.pmod(F.xxhash64("doc", "key"), parts).cast("int")).join(salted, ["key", "home"])
+    minor = F.col("root") != F.col("major")
+    spread = F.explode(F.when(minor, F.sequence(F.lit(0), parts - 1)).otherwise(F.array("home")))
+    return rows.select("key", "doc", "n", "sketch", "root", "home", minor.alias("minor"), spread.alias("part"))
 
 
 def across(mixed: DataFrame, p: MinHash, shards: int, blocks: int) -> DataFrame:
-    """x, block, ys: documents of other components that collide with x often enough, (document, root) by their block."""
+    """x, block, ys: documents of other components that collide with x often enough, (document, root) by their block.
+
+    Two members meet in one part only: with a major one where that lives, and two minor ones in the lower of their homes.
+    """
 
     def run(table: pa.Table) -> pa.Table:
-        rows, root = _Members(table, p), table.column("root").to_numpy()
+        rows, root, home, minor = _Members(table, p), *(table.column(c).to_numpy(zero_copy_only=False) for c in ("root", "home", "minor"))
+        part = table.column("part").to_numpy()
         found: dict[tuple[int, int], set[tuple[int, int]]] = {}
         for own in _lists(table):
-            common = np.unique(root[own], return_counts=True)
-            for i in own[root[own] != common[0][common[1].argmax()]]:  # pairs of different components have one of these
-                hit = own[(root[own] != root[i]) & (rows.collisions(own, i) >= p.matches)]
+            major, others, here = own[~minor[own]], own[minor[own]], part[own[0]]
+            for k, i in enumerate(others):
+                later = others[k + 1 :]
+                if home[i] == here:  # the other minor ones that live here or further on
+                    met = np.concatenate([major, later[home[later] >= here], (before := others[:k])[home[before] > here]])
+                else:
+                    met = major
+                hit = met[root[met] != root[i]]
+                hit = hit[rows.collisions(hit, i) >= p.alike]
                 for y, r in zip(rows.docs[hit].tolist(), root[hit].tolist(), strict=True):
                     found.setdefault((int(rows.docs[i]), block_of(y, blocks)), set()).add((y, r))
         x, block = zip(*found, strict=True) if found else ((), ())
@@ -267,14 +300,23 @@ def _needed(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def confirmed_across(docs: DataFrame, postings: DataFrame, labels: DataFrame, p: MinHash, shards: int) -> DataFrame:
-    """Links (a, b) between components, confirmed on the full sets: for each document one link to each component."""
+    """Links (a, b) between components, confirmed on the full sets: for each document one link to each component.
+
+    A block of documents and the askers' texts are both bounded by bytes: a block that many ask is asked in chunks.
+    """
     mixed = staged(mixed_lists(postings, labels, p))
     ids = staged(mixed.select(F.col("doc").alias("doc_id")).distinct())
-    blocks = max(1, math.ceil(ids.count() / 1024))
-    requests = across(mixed, p, shards, blocks).groupBy("block", "x").agg(F.collect_list("ys").alias("ys"))  # as many as x has lists
     texts = _needed(docs, ids)
+    blocks, _ = counts(texts)
+    requests = staged(across(mixed, p, shards, blocks).groupBy("block", "x").agg(F.collect_list("ys").alias("ys")))  # as many as x has lists
     asked = requests.join(texts.select(F.col("doc_id").alias("x"), F.col("text").alias("own")), "x").select("block", "x", "own", "ys")
+    sizes = texts.select(F.col("doc_id").alias("x"), F.octet_length("text").alias("size"))
+    chunks = requests.join(sizes, "x").groupBy("block").agg(F.ceil(F.sum("size") / BLOCK_BYTES).cast("int").alias("chunks"))
+    several = staged(chunks.where("chunks > 1"))  # the others are asked in one go
+    asked = asked.join(several, "block", "left").withColumn("chunk", F.coalesce(F.pmod(F.xxhash64("x"), "chunks"), F.lit(0)).cast("int"))
     there = with_block(texts, blocks, ("doc_id",)).select(F.col("_block").alias("block"), F.col("doc_id").alias("doc"), F.col("text").alias("body"))
+    there = there.join(several, "block", "left").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("chunks") - 1, F.lit(0)))))
+    there, asked = there.select("block", "chunk", "doc", "body"), asked.select("block", "chunk", "x", "own", "ys")
 
     def run(there: pa.Table, asked: pa.Table) -> pa.Table:
         sets: dict[int, list[np.ndarray]] = {}
@@ -295,7 +337,7 @@ def confirmed_across(docs: DataFrame, postings: DataFrame, labels: DataFrame, p:
         a, b = zip(*out, strict=True) if out else ((), ())
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return there.groupBy("block").cogroup(asked.groupBy("block")).applyInArrow(run, "a long, b long").distinct()
+    return there.groupBy("block", "chunk").cogroup(asked.groupBy("block", "chunk")).applyInArrow(run, "a long, b long").distinct()
 
 
 def confirmed(docs: DataFrame, pairs: DataFrame, p: MinHash) -> DataFrame:
