@@ -9,8 +9,10 @@ and relaxed in that order for all segments at once:
 * BPE models: the merge order leaves exactly one last piece for each prefix.  An edge is taken if its piece stays apart
   from the last piece before it under the merge order, which is decided from the pieces' own merge histories.
 
-Characters that no piece covers become byte pieces.  Decoding joins pieces and bytes back.  Ids equal those of the
-sentencepiece library.  Defined results: a null text is an empty one and has no ids; rows are encoded one by one.
+Pieces of blanks share one score, which leaves no merge order among them: a segment that begins with two blanks or more
+is merged by a heap instead, in n log n steps.  Characters that no piece covers become byte pieces.  Decoding joins
+pieces and bytes back.  Ids equal those of the sentencepiece library.  Defined results: a null text is an empty one and
+has no ids; rows are encoded one by one, so repeated ids or rows get one result each; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,6 +21,7 @@ import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -39,15 +42,30 @@ def default_model() -> str:
 
 
 def merges(symbols: list[str], score: dict[str, float]) -> list[str]:
-    """Plain BPE: the pair with the best score first, the leftmost of equals."""
+    """Plain BPE: the pair with the best score first, the leftmost of equals; n log n steps by a heap and links."""
     symbols = list(symbols)
-    while len(symbols) > 1:
-        best = max(((score[a + b], -i) for i, (a, b) in enumerate(zip(symbols, symbols[1:], strict=False)) if a + b in score), default=None)
-        if best is None:
-            break
-        i = -best[1]
-        symbols[i : i + 2] = [symbols[i] + symbols[i + 1]]
-    return symbols
+    n = len(symbols)
+    after, before = [*range(1, n), -1], [-1, *range(n - 1)]  # of the symbols that are left
+
+    def entry(i: int) -> list[tuple[float, int, str, str]]:
+        j = after[i]
+        best = score.get(symbols[i] + symbols[j]) if j >= 0 else None
+        return [] if best is None else [(-best, i, symbols[i], symbols[j])]
+
+    heap = [e for i in range(n - 1) for e in entry(i)]
+    heapify(heap)
+    while heap:
+        _, i, a, b = heappop(heap)
+        j = after[i]
+        if j < 0 or symbols[i] != a or symbols[j] != b:
+            continue  # one of the two has been merged since
+        symbols[i], symbols[j] = a + b, ""
+        after[i] = after[j]
+        if after[j] >= 0:
+            before[after[j]] = i
+        for e in entry(i) + (entry(before[i]) if before[i] >= 0 else []):
+            heappush(heap, e)
+    return [x for x in symbols if x]
 
 
 class Pieces:
