@@ -2,8 +2,9 @@
 
 A text is brought to a canonical form (compatibility normalisation, full case folding, blanks folded to one), and its
 fingerprint is 128 bits of chained xxhash64 of that form.  Documents with equal hashes are then compared byte by byte:
-each bucket's least and greatest canonical text must be the same.  If a bucket fails, its fingerprints get the canonical
-text's SHA-256 appended, so texts that differ never share one.  Likeness of two exact fingerprints is 1 or 0.
+each bucket's least and greatest canonical text must be the same.  Edited texts, which only this operator makes, are
+compared with each other and with the documents in the same buckets by the SHA-256 of their canonical forms.  If a
+bucket fails, its fingerprints get that SHA-256 appended, so texts that differ never share one.  Likeness of two exact fingerprints is 1 or 0.
 
 The next document (ascending doc_id) is found without a global sort: documents are dealt into range buckets of ids, the
 first document of each bucket is lent to the bucket before it, and a window looks one row ahead.
@@ -71,6 +72,12 @@ def impure_buckets(docs: DataFrame, hashes: DataFrame) -> DataFrame:
     return members.groupBy("a", "b").agg(F.min("canon").alias("low"), F.max("canon").alias("high")).where("low <> high").select("a", "b")
 
 
+def impure_digests(rows: DataFrame) -> DataFrame:
+    """Hashes (a, b) that texts, edited ones included, of different SHA-256 share."""
+    edited_too = rows.select("a", "b", "sha").unionByName(rows.select(F.col("ea").alias("a"), F.col("eb").alias("b"), F.col("edited_sha").alias("sha")))
+    return edited_too.groupBy("a", "b").agg(F.min("sha").alias("low"), F.max("sha").alias("high")).where("low <> high").select("a", "b")
+
+
 def fingerprint(a: str, b: str, sha: str, impure: Column) -> Column:
     wide = F.lower(F.concat(F.lpad(F.hex(a), 16, "0"), F.lpad(F.hex(b), 16, "0")))
     return F.when(impure, F.concat(wide, F.lit(":"), F.col(sha))).otherwise(wide)
@@ -90,10 +97,9 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             (F.col("canon") == F.col("edited_canon")).cast("double").alias("near_edited"), (F.col("canon") == F.col("next_canon")).cast("double").alias("near_next"),
         )
     )
-    impure = impure_buckets(docs, rows.select("a", "b"))
+    flagged = staged(impure_buckets(docs, rows.select("a", "b")).unionByName(impure_digests(rows)).distinct())
     own = other = F.lit(False)
-    if not impure.isEmpty():
-        flagged = staged(impure)
+    if not flagged.isEmpty():
         mark = lambda x, y, name: flagged.select(F.col("a").alias(x), F.col("b").alias(y), F.lit(True).alias(name))
         rows = rows.join(mark("a", "b", "own"), ["a", "b"], "left").join(mark("ea", "eb", "other"), ["ea", "eb"], "left")
         own, other = F.col("own").isNotNull(), F.col("other").isNotNull()
