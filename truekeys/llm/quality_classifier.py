@@ -5,7 +5,8 @@ their shapes (lower, title, upper, digits, mixed, marks); a bigram of two equal
 that stuttering shows whatever the word.  Counts are damped by a logarithm and scaled to length one.  A score is the
 sparse dot product of a text's features with the weights, through the logistic function.
 
-Training reads a bounded sample: of each class at most ``per_class`` labelled rows, the first by a hash of doc_id; the
+Training reads a bounded sample: of each class at most ``per_class`` labelled rows, the first by a hash of doc_id, and
+of the documents that have them at most twice that many rows, in an order that depends on no partitioning; the
 intercept is then moved to the class shares among all training labels.  Rows whose crc32(doc_id) mod 5 is 0 are held
 out.  Labels, lang, source and doc_id are no features.  Defined results: null and empty texts are scored by the
 intercept; without labels of both classes every score is the smoothed share of good labels; other columns are ignored.
@@ -124,11 +125,12 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             both = [features(t.as_py(), bits) for t in b.column(2)]
-            yield pa.RecordBatch.from_pydict({"doc_id": b.column(0), "quality": b.column(1), "i": pa.array([x.tobytes() for x, _ in both], pa.binary()), "v": pa.array([x.tobytes() for _, x in both], pa.binary())})
+            yield pa.RecordBatch.from_pydict({"place": b.column(0), "quality": b.column(1), "i": pa.array([x.tobytes() for x, _ in both], pa.binary()), "v": pa.array([x.tobytes() for _, x in both], pa.binary())})
 
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    sample = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("doc_id", "quality", "text").mapInArrow(run, f"doc_id {kind}, quality int, i binary, v binary")
-    rows = sorted(sample.collect(), key=lambda r: (r["doc_id"], r["quality"]))  # at most 2 * per_class documents
+    place = F.struct(F.xxhash64("doc_id"), F.col("doc_id").cast("string"), F.xxhash64("text")).cast("string")
+    sample = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select(place.alias("place"), "quality", "text").mapInArrow(run, "place string, quality int, i binary, v binary")
+    # ids that documents or labels repeat could make it longer; equal places have equal texts and labels, or differ in labels
+    rows = sample.orderBy("place", "quality").limit(2 * s.per_class).collect()
     fit = ftrl([(r["quality"], np.frombuffer(r["i"], np.int32), np.frombuffer(r["v"], np.float32)) for r in rows], s)
     seen = [r["quality"] for r in rows]
     return Model(fit.weights, fit.intercept + prior - math.log((seen.count(1) + 1) / (seen.count(0) + 1)))
