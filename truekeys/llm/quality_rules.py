@@ -26,7 +26,7 @@ from .text import BLANKS, covered, mix, windows, word_hashes, words
 #: Raw lengths at which a class of whole ratios begins, and the room given below and above the learnt spread.
 CLASSES = (64, 128, 181, 256, 362, 512, 724, 1024, 1448, 2048, 2896, 4096, 5793, 8192, 11585, 16384, 32768)
 ROOM = (0.004, 0.01)
-WHOLE = ((0, 0.0, 9.9), (64, 0.779, 1.148), (128, 0.688, 0.959), (181, 0.632, 0.826), (256, 0.587, 0.807), (362, 0.575, 0.736), (512, 0.42, 0.697), (724, 0.496, 0.661), (1024, 0.482, 0.604), (1448, 0.47, 0.568), (2048, 0.453, 0.553), (2896, 0.444, 0.526), (4096, 0.434, 0.518), (5793, 0.422, 0.485), (8192, 0.414, 0.471), (11585, 0.411, 0.462), (16384, 0.398, 0.45), (32768, 0.389, 0.437), (65536, 0.36, 0.437))
+WHOLE = ((0, 0.7, 9.9), (64, 0.779, 1.148), (128, 0.688, 0.959), (181, 0.632, 0.826), (256, 0.587, 0.807), (362, 0.575, 0.736), (512, 0.42, 0.697), (724, 0.496, 0.661), (1024, 0.482, 0.604), (1448, 0.47, 0.568), (2048, 0.453, 0.553), (2896, 0.444, 0.526), (4096, 0.434, 0.518), (5793, 0.422, 0.485), (8192, 0.414, 0.471), (11585, 0.411, 0.462), (16384, 0.398, 0.45), (32768, 0.389, 0.437), (65536, 0.36, 0.437))
 CHUNK = (0.466, 0.55)
 
 
@@ -35,7 +35,7 @@ class Bands:
     """Limits of compressed / raw bytes, by the raw length from which they hold (ascending)."""
 
     #: learn() on the training fold of check_s, but for two: 512 keeps its wider lower limit, as texts of a small vocabulary
-    #: count as prose there; 65536 on, where there is no clean text to learn from, is the class before with room below.
+    #: count as prose there; below 64 bytes, where noise shows no longer, only repetition goes; 65536 on, where there is no clean text to learn from, is the class before with room below.
     whole: tuple[tuple[int, float, float], ...] = WHOLE
     chunk_bytes: int = 2048
     chunk: tuple[float, float] = CHUNK
