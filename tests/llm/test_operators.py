@@ -392,6 +392,15 @@ def test_licence_files_with_head_lines(spark):
         "BSD-3-Clause": [file("BSD 3-Clause License", mark, *bsd, "3. " + n[43])],
         "ISC": [file("ISC License", mark, n[61])],
         "Apache-2.0": ["Copyright 2020 Jane Doe\n" + file(f"{n[2]} {n[3]} {n[4]}", "    http://www.apache.org/licenses/LICENSE-2.0", f"{n[5]} {n[6]}")],
+        "GPL-2.0-or-later": [mark + "\n" + file(f"{n[11].replace(':', ';')} {n[91]} {n[92]}", f"{n[13]} {n[14]} {n[15]}")],
+        "LGPL-2.1-or-later": [file(mark, f"{n[17]} {n[18]} {n[19]}")],
+        "LGPL-3.0-or-later": [file(mark, f"{n[11]} {n[95]}"), file(mark, f"{n[17]} {n[18]} {n[93]}")],
+        "AGPL-3.0-or-later": [file(mark, f"{n[11]} {n[94]}", f"{n[13]} {n[14]} {n[96]}")],
+        "GPL-3.0-only": [f"                    {n[80]}\n                       {n[83]}\n\n Copyright (C) 2007\n {n[125]}\n", "# SPDX-License-Identifier: GPL-3.0-only\nimport this"],
+        "Zlib": [file("zlib License", mark, f"{n[110]} {n[111]}", n[112])],
+        "EPL-2.0": [file(n[100]) + "\nhttps://www.eclipse.org/legal/epl-2.0/"],
+        "CC0-1.0": [file(n[64]), "/* SPDX-License-Identifier: CC0-1.0 */"],
+        "BSL-1.0": [file(n[114], n[113])],
         "All-Rights-Reserved": ["Some text.\nAll rights reserved.", mark + "\nAll rights reserved."],
     }
     rows = [(f"{name} {i}", t) for name, ts in texts.items() for i, t in enumerate(ts)]

@@ -4,7 +4,8 @@ A text is cut into sentences (at line ends, and at full stops and the like befor
 case words, and known sentences become identifiers.  Licence rules are ordered sequences of identifiers; a rule matches
 where its sequence stands in a text's identifiers without a known sentence between.  A second reading joins the lines of
 a paragraph first, for licence texts that are wrapped; paragraphs end at lines without words, and a title or copyright
-line is a sentence of its own.  The first matching rule in the order of the list names the
+line is a sentence of its own.  A tag line (SPDX-License-Identifier) is one sentence.  Sentences and rules are read from
+licences.tsv.  The first matching rule in the order of the list names the
 licence; longer sequences stand first, so a full licence text outranks a notice in it.
 
 All steps are DataFrame functions.  Defined results: a null or empty text has no sentences and no licence; rows are
@@ -13,76 +14,34 @@ scanned one by one; other columns are ignored.
 
 from __future__ import annotations
 
+from pathlib import Path
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
-#: Known licence sentences by identifier.
-SENTENCES = {
-    1: "Licensed under the Apache License, Version 2.0.",
-    2: 'Licensed under the Apache License, Version 2.0 (the "License");',
-    3: "you may not use this file except in compliance with the License.",
-    4: "You may obtain a copy of the License at",
-    5: 'Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.',
-    6: "See the License for the specific language governing permissions and limitations under the License.",
-    10: "This work is licensed under the GNU General Public License, version 3.",
-    11: "This program is free software:",
-    12: "you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
-    13: "This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY;",
-    14: "without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.",
-    15: "See the GNU General Public License for more details.",
-    16: "You should have received a copy of the GNU General Public License along with this program.",
-    17: "This library is free software;",
-    18: "you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation;",
-    20: "Released under the MIT License.",
-    21: "Licensed under the MIT License.",
-    22: 'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:',
-    23: "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.",
-    24: 'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT.',
-    30: "Licensed under CC BY-NC 4.0.",
-    31: "Licensed under CC BY 4.0.",
-    32: "Licensed under CC BY-SA 4.0.",
-    33: "This work is licensed under a Creative Commons Attribution 4.0 International License.",
-    34: "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License.",
-    35: "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
-    40: "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
-    41: "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.",
-    42: "Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.",
-    43: "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.",
-    50: "This Source Code Form is subject to the terms of the Mozilla Public License, v.",
-    51: "If a copy of the MPL was not distributed with this file, You can obtain one at",
-    60: "This is free and unencumbered software released into the public domain.",
-    61: "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
-    70: "All rights reserved.",
-}
-
-#: Fixed values: (licence, sequence of sentence identifiers), the first match names the licence.
-RULES = (
-    ("Apache-2.0", (2, 3, 4, 5, 6)),
-    ("Apache-2.0", (2, 3)),
-    ("GPL-3.0-or-later", (11, 12, 13, 14, 15)),
-    ("GPL-3.0-or-later", (11, 12)),
-    ("LGPL-2.1-or-later", (17, 18)),
-    ("MIT", (22, 23, 24)),
-    ("MIT", (22, 23)),
-    ("BSD-3-Clause", (40, 41, 42, 43)),
-    ("BSD-2-Clause", (40, 41, 42)),
-    ("ISC", (61,)),
-    ("Unlicense", (60,)),
-    ("MPL-2.0", (50,)),
-    ("Apache-2.0", (1,)),
-    ("GPL-3.0-only", (10,)),
-    ("MIT", (20,)),
-    ("MIT", (21,)),
-    ("CC-BY-NC-4.0", (30,)),
-    ("CC-BY-NC-4.0", (34,)),
-    ("CC-BY-SA-4.0", (32,)),
-    ("CC-BY-SA-4.0", (35,)),
-    ("CC-BY-4.0", (31,)),
-    ("CC-BY-4.0", (33,)),
-    ("All-Rights-Reserved", (70,)),
-)
+#: Identifiers of tag sentences begin here; they follow the order of the names in the file.
+TAGS = 1000
+
+
+def _table() -> tuple[dict[int, str], tuple[tuple[str, tuple[int, ...]], ...]]:
+    """(sentences by identifier, ordered rules) of the file beside this module."""
+    sentences, rules, names = {}, [], []
+    for line in Path(__file__).with_name("licences.tsv").read_text(encoding="utf-8").splitlines():
+        kind, *rest = line.split("\t")
+        if kind == "S":
+            sentences[int(rest[0])] = rest[1]
+        elif kind == "R":
+            rules.append((rest[0], tuple(map(int, rest[1].split()))))
+        elif kind == "N":
+            names.append(rest[0])
+    tags = {TAGS + i: n for i, n in enumerate(names)}
+    return sentences | {i: f"SPDX-License-Identifier {n}" for i, n in tags.items()}, (*rules, *((n, (i,)) for i, n in tags.items()))
+
+
+#: Known sentences by identifier; (licence, sequence of identifiers), of which the first match names the licence.
+SENTENCES, RULES = _table()
 
 
 def normal(sentence: str) -> str:
@@ -92,13 +51,17 @@ def normal(sentence: str) -> str:
 
 
 KNOWN = {normal(s): i for i, s in SENTENCES.items()}
-LONGEST = max(map(len, KNOWN))
+if len(KNOWN) < len(SENTENCES):
+    raise ValueError("two sentences of licences.tsv are alike once normalised")
+
+TAG = "SPDX-License-Identifier:"
 
 
 def _identifiers(text: Column) -> Column:
     """The identifiers of the known sentences, in the order of the text."""
     known = F.create_map(*(F.lit(x) for pair in KNOWN.items() for x in pair))
-    cut = F.split(F.regexp_replace(text, r"([.!?;:])[ \t\r]+", "$1\n"), "\n")
+    tagged = F.when(text.contains(TAG), F.regexp_replace(text, TAG + r"[ \t]*", TAG.removesuffix(":") + " ")).otherwise(text)
+    cut = F.split(F.regexp_replace(tagged, r"([.!?;:])[ \t\r]+", "$1\n"), "\n")
     firsts = sorted({n.split(" ")[0] for n in KNOWN})
 
     def lookup(s: Column) -> Column:
@@ -111,13 +74,15 @@ def _identifiers(text: Column) -> Column:
 
 MARKS = r"[ \t\r*#/;>|-]*"
 COPYRIGHT = rf"(?im)^({MARKS}(?:copyright[ \t:,]*(?:\(c\)|©|&copy;|<|\[|[0-9]{{4}})|(?:\(c\)|©)[ \t]*[0-9]{{4}})[^\n]*)$"
+ADDRESS = r" +(https?://[^ \n]+)"
 TITLE = rf"(?im)(\A|\n{MARKS}\n)({MARKS}(?:[a-z0-9.\"'&+-]+[ \t]+){{0,6}}licen[sc]e(?:[ \t]*\([^)\n]*\))?(?:,?[ \t]+v(?:ersion)?[ \t]*[0-9.]+)?[ \t\r:]*)$"
 
 
 def _joined(text: Column) -> Column:
-    """The lines of each paragraph joined; title and copyright lines are paragraphs."""
+    """The lines of each paragraph joined; title and copyright lines are paragraphs, and addresses are lines."""
     apart = F.regexp_replace(F.regexp_replace(text, COPYRIGHT, "\n\n$1\n\n"), TITLE, "$1$2\n\n")
-    return F.array_join(F.transform(F.split(apart, rf"\n(?:{MARKS}\n)+"), lambda p: F.regexp_replace(p, r"\r?\n", " ")), "\n")
+    whole = F.array_join(F.transform(F.split(apart, rf"\n(?:{MARKS}\n)+"), lambda p: F.regexp_replace(p, r"\r?\n", " ")), "\n")
+    return F.when(whole.contains("://"), F.regexp_replace(whole, ADDRESS, "\n$1\n")).otherwise(whole)
 
 
 def _listed(ids: Column) -> Column:
@@ -147,14 +112,15 @@ def oracle() -> str:
     known = "MAP {" + ", ".join(f"{quote(k)}: {i}" for k, i in KNOWN.items()) + "}"
 
     def ids(text: str) -> str:
-        cut = f"string_split(regexp_replace({text}, '([.!?;:])[ \\t\\r]+', '\\1' || chr(10), 'g'), chr(10))"
+        tagged = f"regexp_replace({text}, '{TAG}[ \\t]*', '{TAG.removesuffix(':')} ', 'g')"
+        cut = f"string_split(regexp_replace({tagged}, '([.!?;:])[ \\t\\r]+', '\\1' || chr(10), 'g'), chr(10))"
         norm = f"trim(regexp_replace(translate(s, '{UPPER}', '{LOWER}'), '[^a-z0-9]+', ' ', 'g'))"
         return f"list_filter(list_transform({cut}, lambda s: known[{norm}]), lambda i: i is not null)"
 
     has = [f"(contains(la, ',{','.join(map(str, i))},') or contains(lb, ',{','.join(map(str, i))},'))" for _, i in RULES]
     return f"""
 with k as (select {known} as known),
-d as (select doc_id, {ids("coalesce(text, '')")} as a, {ids("regexp_replace(coalesce(text, ''), chr(13) || '?' || chr(10), ' ', 'g')")} as b from documents, k),
+d as (select doc_id, {ids("coalesce(text, '')")} as a, {ids(f"regexp_replace(regexp_replace(coalesce(text, ''), chr(13) || '?' || chr(10), ' ', 'g'), '{ADDRESS}', chr(10) || '{chr(92)}1' || chr(10), 'g')")} as b from documents, k),
 e as (select doc_id, a, b, ',' || array_to_string(a, ',') || ',' as la, ',' || array_to_string(b, ',') || ',' as lb from d)
 select doc_id, cast(greatest(len(a), len(b)) as bigint) as n_sentences, case when len(b) > len(a) then lb else la end as sentence_ids,
   coalesce({", ".join(f"case when {h} then '{n}' end" for h, (n, _) in zip(has, RULES, strict=True))}) as licence,
