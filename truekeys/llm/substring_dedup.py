@@ -6,11 +6,12 @@ window that starts earlier (smaller doc_id, or earlier in the same document).
 Positions are taken modulo ``period``, and only short anchors that begin at a position of the difference cover are
 hashed for the whole corpus.  For any two offsets the cover holds a common shift, so two equal windows share an anchor
 that is aligned alike in both, wherever they begin.  Anchors that occur once rule out all windows over them; only around
-the others are full windows hashed (128 bits) and their first occurrences looked up.  Both lookups are folded inside
+the others are full windows hashed (96 bits) and their first occurrences looked up.  Both lookups are folded inside
 blocks of documents, so a passage that a third of all documents share costs one posting a block.
 
 Defined results: a null or blank text has no words and loses nothing; rows that repeat a doc_id are documents of their
-own, in the order of their texts; a null doc_id sorts before all others; other columns are ignored.
+own, in one fixed order among them (by block, then by text); a null doc_id sorts before all others, as the least 64-bit
+integer does; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -85,7 +86,7 @@ class _Block:
         return begins[np.cumsum(near)[begins] > 0]
 
     def window_keys(self, begins: np.ndarray) -> np.ndarray:
-        """Two independent 64-bit hashes of the windows at begins."""
+        """96 bits of two independent hashes of the windows at begins."""
         out = np.empty(len(begins), KEY)
         if len(begins):
             out["a"] = mix(windows(self.hashes, self.cover.window)[begins])
@@ -183,7 +184,7 @@ def substring_dedup(docs: DataFrame, cover: Cover = Cover(), keep: bool = False)
 
     def match_windows(table: pa.Table) -> pa.Table:
         owner, (keys, doc) = unpacked(table, [KEY, "<i8"], "_block")
-        order = np.lexsort((doc, keys["b"], keys["a"]))
+        order = np.lexsort((owner, doc, keys["b"], keys["a"]))
         keys, owner = keys[order], owner[order]
         later = np.zeros(len(keys), bool)
         later[1:] = keys[1:] == keys[:-1]  # a block has one posting of a window, and the first is the smallest doc_id
