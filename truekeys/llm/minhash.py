@@ -229,8 +229,8 @@ def trees(postings: DataFrame, p: MinHash, shards: int) -> DataFrame:
 
     salt = F.pmod(F.xxhash64("doc", "key"), F.ceil(F.col("freq") / p.list_rows)).cast("int")
     found = _sharded(postings, salt, shards).groupBy("_shard").applyInArrow(run, "a long, b long, n int")
-    best = found.groupBy("b").agg(F.max(F.struct("n", (-F.col("a")).alias("a"))).alias("x"))  # one proposal a document
-    return best.select((-F.col("x.a")).alias("a"), "b")
+    best = found.groupBy("b").agg(F.min_by("a", F.struct((-F.col("n")).alias("n"), F.col("a"))).alias("a"))  # one proposal a document
+    return best.select("a", "b")
 
 
 def block_of(doc: int, blocks: int) -> int:
