@@ -4,12 +4,14 @@ import datetime as dt
 import decimal
 import itertools
 import os
+import random
+from itertools import combinations
 
 import pytest
 from pyspark.sql import functions as F
 
 from truekeys.functions import canon
-from truekeys.operators import chase, decompose, equivalence, propagate
+from truekeys.operators import baselines, chase, decompose, equivalence, profile, propagate
 from truekeys.operators.components import connected_components
 from truekeys.plans import pipeline, staging
 from truekeys.plans.model import Database, DatabaseSpec, ExpertDecisions, ForeignKey, Relation
@@ -143,3 +145,24 @@ def test_a_cluster_needs_a_shared_folder():
 
     with pytest.raises(RuntimeError):
         staging.shared_folder(Session)
+
+
+def test_minimal_keys_of_any_width_against_brute_force(spark):
+    rng = random.Random(3)
+    names = list("abcde")
+    rows = list({tuple(rng.choice([None, 0, 1, 2]) for _ in names) for _ in range(60)})
+    df = spark.createDataFrame(rows, ", ".join(f"{c} int" for c in names))
+    unique = [c for k in range(1, 6) for c in combinations(range(5), k) if len({tuple(r[i] for i in c) for r in rows}) == len(rows)]
+    minimal = {"".join(names[i] for i in c) for c in unique if not any(set(u) < set(c) for u in unique)}
+    assert {"".join(c) for c in baselines.uccs(df)} == minimal
+    shown = {r["attributes"].replace("+", ""): r["dv"] for r in profile.nk_candidates(df, near=0.5).collect()}
+    dv = {c: len({tuple(r[i] for i in c) for r in rows}) for k in range(1, 6) for c in combinations(range(5), k)}
+    assert shown == {"".join(names[i] for i in c): d for c, d in dv.items() if d >= 0.5 * len(rows) and not any(set(u) < set(c) for u in unique)}
+
+
+def test_a_repeat_in_few_rows_refutes_and_its_absence_does_not(spark):
+    df = spark.createDataFrame([(i, i // 2, i % 2) for i in range(50)], "k int, half int, odd int")
+    repeats = baselines.repeats_in(df, df.columns, rows=20)
+    assert not repeats(("k",)) and repeats(("half",)) and repeats(("odd",)) and not repeats(("half", "odd"))
+    assert baselines.uccs(df) == [("k",), ("half", "odd")]
+    assert baselines.uccs(df.limit(0)) == [("k",), ("half",), ("odd",)]

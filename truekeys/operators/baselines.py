@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 from itertools import combinations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,6 +18,8 @@ from .propagate import apply_map
 
 #: Distinct counts in one job: each multiplies the rows of its aggregate.
 BATCH = 8
+#: Rows that may refute a key on the driver.
+SAMPLE = 10_000
 
 
 def distinct_counts(df: DataFrame, sets: list[tuple[str, ...]]) -> list[int]:
@@ -27,12 +32,36 @@ def distinct_counts(df: DataFrame, sets: list[tuple[str, ...]]) -> list[int]:
     return out
 
 
-def uccs(df: DataFrame, columns: list[str] | None = None, max_width: int = 3) -> list[tuple[str, ...]]:
-    """Minimal unique column combinations, level by level; supersets of a unique one are never counted."""
+def repeats_in(df: DataFrame, columns: list[str], rows: int = SAMPLE) -> Callable[[tuple[str, ...]], bool]:
+    """Whether a set of columns repeats within a few rows, at most ``rows`` of them on the driver.
+
+    A repeat there is one in the table, so it refutes uniqueness for certain; no repeat says nothing.
+    """
+    few = df.select(*(fingerprint(df, [c]).alias(f"c{i}") for i, c in enumerate(columns))).limit(rows).toPandas()
+    codes = {c: pd.factorize(few[f"c{i}"].map(str))[0].astype("int64") for i, c in enumerate(columns)}
+
+    def repeats(names: tuple[str, ...]) -> bool:
+        key = codes[names[0]]
+        for c in names[1:]:
+            key = pd.factorize(key * len(few) + codes[c])[0].astype("int64")
+        return len(np.unique(key)) < len(key)
+
+    return repeats
+
+
+def uccs(df: DataFrame, columns: list[str] | None = None, max_width: int | None = None) -> list[tuple[str, ...]]:
+    """Minimal unique column combinations, level by level up to ``max_width`` (none: until nothing is left to try).
+
+    Supersets of a unique one are never counted, nor are sets that a few rows already refute.
+    """
     columns, n, found = columns or df.columns, df.count(), []
-    for width in range(1, max_width + 1):
+    repeats = repeats_in(df, columns)
+    for width in range(1, (max_width or len(columns)) + 1):
         level = [c for c in combinations(columns, width) if not any(set(u) <= set(c) for u in found)]
-        found += [c for c, d in zip(level, distinct_counts(df, level), strict=True) if d == n]
+        if not level:
+            break
+        open_sets = [c for c in level if not repeats(c)]
+        found += [c for c, d in zip(open_sets, distinct_counts(df, open_sets), strict=True) if d == n]
     return found
 
 

@@ -89,16 +89,28 @@ def sk_candidates(profile: DataFrame, relation: Relation, fk_columns: set[str],
     return profile.select("attribute", "n", "dv", kind[F.col("attribute")].alias("category"), reason.alias("reason")).where("reason is not null")
 
 
-def nk_candidates(df: DataFrame, columns: list[str], max_width: int = 2, near: float = 0.9) -> DataFrame:
-    """Combinations whose distinct values come near the size, for the expert; supersets of a unique one are left out."""
+def nk_candidates(df: DataFrame, columns: list[str] | None = None, max_width: int | None = None, near: float = 0.9) -> DataFrame:
+    """Combinations whose distinct values come near the size, for the expert; supersets of a unique one are left out.
+
+    Widths go up to ``max_width`` (none: until nothing is left to try).  A combination has at most the product of its
+    columns' distinct values; where that falls short of the bound it is not counted.
+    """
     from itertools import combinations
+    from math import prod
 
     from .baselines import distinct_counts
 
-    n, unique, rows = df.count(), [], []
-    for width in range(1, max_width + 1):
+    columns, n, unique, rows, single = columns or df.columns, df.count(), [], [], {}
+    for width in range(1, (max_width or len(columns)) + 1):
         level = [c for c in combinations(columns, width) if not any(set(u) <= set(c) for u in unique)]
-        for c, dv in zip(level, distinct_counts(df, level), strict=True):
+        if not level:
+            break
+        if single:
+            level = [c for c in level if prod(single[x] for x in c) >= near * n]
+        counts = distinct_counts(df, level)
+        if width == 1:
+            single = {c: dv for (c,), dv in zip(level, counts, strict=True)}
+        for c, dv in zip(level, counts, strict=True):
             if dv == n:
                 unique.append(c)
             if n and dv >= near * n:

@@ -8,34 +8,27 @@ from pyspark.sql import functions as F
 from ..operators import baselines, metrics, verify
 from ..plans.model import Database
 from ..sources.io import union_all
-from .registry import COLUMNS, FKS, NKS, ORDER, poll_sql, polluted, query, star, t
+from .registry import COLUMNS, FKS, NKS, ORDER, poll_sql, polluted, query, sets_sql, star, t
 
-_UCC = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
 
-
-def ucc_sql(table: str, columns: list[str], width: int) -> str:
-    """Unique sets of at most ``width`` columns that have no unique proper subset."""
-    from itertools import combinations
-
-    sets = [c for k in range(1, width + 1) for c in combinations(columns, k)]
-    counts = " union all ".join(f"select '{'+'.join(c)}' as columns, count(*) = count(distinct ({', '.join(c)})) as u from {table}" for c in sets)
-    pairs = ", ".join(f"('{'+'.join(a)}', '{'+'.join(b)}')" for a in sets for b in sets if set(a) < set(b))
-    return f"with u as ({counts}), p as (select * from (values {pairs}) v(small, large)) select columns from u where u and columns not in (select large from p join u on small = columns where u)"
+def ucc_sql(table: str, columns: tuple[str, ...], width: int) -> str:
+    return f"select columns from ({sets_sql(table, columns, width, 'dv = n')})"
 
 
-@query("ucc_lineitem", ucc_sql("lineitem", _UCC, 3))
+@query("ucc_lineitem", ucc_sql("lineitem", COLUMNS["lineitem"], 3))
 def ucc_lineitem(spark: SparkSession, folder: str) -> DataFrame:
-    found = baselines.uccs(t(spark, folder, "lineitem").select(_UCC), max_width=3)
+    """Minimal keys of at most three columns, of all columns of the widest relation."""
+    found = baselines.uccs(t(spark, folder, "lineitem"), list(COLUMNS["lineitem"]), max_width=3)
     return spark.createDataFrame([("+".join(c),) for c in found], "columns string")
 
 
-@query("ucc_customer", ucc_sql("customer", list(COLUMNS["customer"]), 2))
+@query("ucc_customer", ucc_sql("customer", COLUMNS["customer"], 2))
 def ucc_customer(spark: SparkSession, folder: str) -> DataFrame:
     found = baselines.uccs(t(spark, folder, "customer"), max_width=2)
     return spark.createDataFrame([("+".join(c),) for c in found], "columns string")
 
 
-@query("ucc_accuracy", f"with f as ({ucc_sql('customer', list(COLUMNS['customer']), 2)}) select count(*) as found, coalesce(round(count(*) filter (where columns = 'c_name') / nullif(count(*), 0)::double, 6), 0.0) as \"precision\", case when count(*) filter (where columns = 'c_name') > 0 then 1.0 else 0.0 end::double as recall from f")
+@query("ucc_accuracy", f"with f as ({ucc_sql('customer', COLUMNS['customer'], 2)}) select count(*) as found, coalesce(round(count(*) filter (where columns = 'c_name') / nullif(count(*), 0)::double, 6), 0.0) as \"precision\", case when count(*) filter (where columns = 'c_name') > 0 then 1.0 else 0.0 end::double as recall from f")
 def ucc_accuracy(spark: SparkSession, folder: str) -> DataFrame:
     a = baselines.key_accuracy(baselines.uccs(t(spark, folder, "customer"), max_width=2), ("c_name",))
     return spark.createDataFrame([(a["found"], a["precision"], a["recall"])], "found long, precision double, recall double")

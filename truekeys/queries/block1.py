@@ -9,7 +9,7 @@ from ..operators import profile, review, stability, verify
 from ..plans import fdtheory, graph
 from ..plans.model import Database, DatabaseSpec, Relation
 from ..sources.io import union_all
-from .registry import STAR, TABLES, query, star, t
+from .registry import COLUMNS, STAR, TABLES, query, sets_sql, star, t
 
 SCHEMAS = {
     "region": "r_regionkey r_name",
@@ -151,12 +151,9 @@ def sk_candidates_all(spark: SparkSession, folder: str) -> DataFrame:
     return union_all([profile.sk_candidates(profile.rrp(db.tables[n]), db.spec.relations[n], fks[n]).select(F.lit(n).alias("relation"), "*") for n in _KEYS])
 
 
-_PAIRS = [("l_orderkey", "l_linenumber"), ("l_orderkey", "l_partkey"), ("l_linenumber", "l_partkey"), ("l_orderkey",), ("l_linenumber",), ("l_partkey",)]
-
-
-@query("nk_candidates_lineitem", "select * from (" + " union all ".join(f"select '{'+'.join(sorted(p, key=['l_orderkey', 'l_linenumber', 'l_partkey'].index))}' as attributes, count(*) as n, count(distinct ({', '.join(p)})) as dv from lineitem" for p in _PAIRS) + ") where dv >= 0.7 * n")
+@query("nk_candidates_lineitem", f"select columns as attributes, n, dv from ({sets_sql('lineitem', COLUMNS['lineitem'], 2, 'dv >= 0.7 * n')})")
 def nk_candidates_lineitem(spark: SparkSession, folder: str) -> DataFrame:
-    return profile.nk_candidates(t(spark, folder, "lineitem"), ["l_orderkey", "l_linenumber", "l_partkey"], 2, 0.7)
+    return profile.nk_candidates(t(spark, folder, "lineitem"), list(COLUMNS["lineitem"]), 2, 0.7)
 
 
 @query("review_order", "select relation, cast(g as int) as review_group, cast(row_number() over (order by g, relation) as int) as position from (values ('region', 1), ('part', 1), ('nation', 2), ('customer', 2), ('supplier', 2), ('orders', 2), ('lineitem', 3)) v(relation, g)")

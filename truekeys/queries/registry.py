@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from functools import wraps
+from itertools import combinations
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -105,6 +106,14 @@ def poll_sql(df: float = 0.3, policy: str = "follow", names: tuple[str, ...] = O
     return ",\n".join(out)
 
 
+def sets_sql(table: str, columns: tuple[str, ...], width: int, where: str) -> str:
+    """columns, n, dv of the sets of at most ``width`` columns for which ``where`` holds and no proper subset is unique."""
+    sets = [c for k in range(1, width + 1) for c in combinations(columns, k)]
+    counts = " union all ".join(f"select '{'+'.join(c)}' as columns, count(*) as n, count(distinct ({', '.join(c)})) as dv from {table}" for c in sets)
+    pairs = ", ".join(f"('{'+'.join(a)}', '{'+'.join(b)}')" for b in sets for k in range(1, len(b)) for a in combinations(b, k))
+    return f"with s as ({counts}), p as (select * from (values {pairs}) v(small, large)) select columns, n, dv from s where {where} and columns not in (select large from p join s u on small = u.columns where u.dv = u.n)"
+
+
 def clean_sql(names: tuple[str, ...] = ORDER) -> str:
     """After poll_sql: ref_<relation> (foreign keys followed), map_<relation> (old, rep), clean_<relation>."""
     out = []
