@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import datetime as dt
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -113,44 +111,54 @@ def roundtrip_spread(spark: SparkSession, folder: str) -> DataFrame:
     return roundtrip(spark, folder, 0.3, "spread")
 
 
-# The worked example: a clinic with chips, pets and visits (fixture of seven rows each).
+# The worked example: a clinic with animals, their microchips and appointments.
 
-CHIPS = [(611, 744982769, "2015-04-09"), (613, 713356552, "2018-11-18"), (614, 576918144, "2018-06-23"), (616, 744982769, "2015-09-04"), (617, 576918144, "2018-06-23"), (619, 713356552, "2018-11-18"), (620, 744982769, "2015-04-09")]
-_DOG, _LAB, _CAT = ("canine", "greyhound", "Gunter", "M"), ("canine", "labrador", "Coco", "F"), ("feline", "siamese", "Izzy", "F")
-PETS = [
-    (744, "227f1df55c", _DOG, 611, "2014-07-15", 27.0, "Greyh. Mix"),
-    (746, "c59a2c0744", _LAB, 613, None, 41.0, "H Large Dog"),
-    (747, "9d5faf7fa6", _CAT, 614, "2018-01-18", 4.2, "Indoor Cat"),
-    (749, "ded5f4207a", _DOG, 616, "2014-07-15", 25.8, "Urinary"),
-    (750, "d33673d97d", _CAT, 617, "2018-01-01", 4.1, "Indoor Cat"),
-    (752, "4745dd610e", _LAB, 619, None, 41.0, "H Large Dog"),
-    (753, "f41e45bf6e", _DOG, 620, "2014-07-15", 26.0, "Urinary"),
+#: The three relations of the published example, with its columns in its order.
+ANIMAL = [
+    (744, "canine", "greyhound", "Gunter", 611, "M", "15-07-2014", 27.0, "Greyh. Mix", "227f1df55c"),
+    (746, "canine", "labrador", "Coco", 613, "F", None, 41.0, "H Large Dog", "c59a2c0744"),
+    (747, "feline", "siamese", "Izzy", 614, "F", "18-01-2018", 4.2, "Indoor Cat", "9d5faf7fa6"),
+    (749, "canine", "greyhound", "Gunter", 616, "M", "15-07-2014", 25.8, "Urinary", "ded5f4207a"),
+    (750, "feline", "siamese", "Izzy", 617, "F", "01-01-2018", 4.1, "Indoor Cat", "d33673d97d"),
+    (752, "canine", "labrador", "Coco", 619, "F", None, 41.0, "H Large Dog", "4745dd610e"),
+    (753, "canine", "greyhound", "Gunter", 620, "M", "15-07-2014", 26.0, "Urinary", "f41e45bf6e"),
+]
+APPOINTMENT = [
+    (370, 744, "08-02-2022", "10:00", "sick pet"),
+    (372, 746, "20-04-2022", "15:00", "surgery"),
+    (373, 747, "10-05-2022", "11:30", "injured pet"),
+    (375, 749, "20-07-2022", "16:00", "annual visit"),
+    (376, 750, "20-07-2022", "14:30", "annual visit"),
+    (378, 752, "16-08-2022", "12:00", "surgery follow-up"),
+    (379, 753, "09-09-2022", "17:00", "sick pet"),
 ]
-VISITS = [
-    (370, 744, "2022-02-08", "10:00", "sick pet"),
-    (372, 746, "2022-04-20", "15:00", "surgery"),
-    (373, 747, "2022-05-10", "11:30", "injured pet"),
-    (375, 749, "2022-07-20", "16:00", "annual visit"),
-    (376, 750, "2022-07-20", "14:30", "annual visit"),
-    (378, 752, "2022-08-16", "12:00", "surgery follow-up"),
-    (379, 753, "2022-09-09", "17:00", "sick pet"),
+MICROCHIP = [
+    (611, 744982769, "09-04-2015"),
+    (613, 713356552, "18-11-2018"),
+    (614, 576918144, "23-06-2018"),
+    (616, 744982769, "04-09-2015"),
+    (617, 576918144, "23-06-2018"),
+    (619, 713356552, "18-11-2018"),
+    (620, 744982769, "09-04-2015"),
 ]
 CLINIC = DatabaseSpec(
-    {"chip": Relation("chip", ("chip_id",), ("number",)), "pet": Relation("pet", ("pet_id", "tag"), ("chip_id",)), "visit": Relation("visit", ("visit_id",), ("pet_id", "day", "time"))},
-    (ForeignKey("pet", ("chip_id",), "chip", ("chip_id",)), ForeignKey("visit", ("pet_id",), "pet", ("pet_id",))),
+    {"microchip": Relation("microchip", ("id_microchip",), ("number",)), "animal": Relation("animal", ("id_animal", "hash_id"), ("id_microchip",)), "appointment": Relation("appointment", ("id_appointment",), ("id_animal", "date", "time"))},
+    (ForeignKey("animal", ("id_microchip",), "microchip", ("id_microchip",)), ForeignKey("appointment", ("id_animal",), "animal", ("id_animal",))),
 )
 TRAITS = ["species", "breed", "name", "gender", "dob", "weight", "food"]
 
 
 def clinic(spark: SparkSession) -> Database:
-    day = lambda x: dt.date.fromisoformat(x) if x else None
-    pets = [(p, tag, *kind[:3], chip, kind[3], day(dob), w, food) for p, tag, kind, chip, dob, w, food in PETS]
+    def table(rows: list[tuple], schema: str, day: str) -> DataFrame:
+        read = spark.createDataFrame(rows, schema)
+        return read.withColumn(day, F.to_date(day, "dd-MM-yyyy"))
+
     return Database(
         CLINIC,
         {
-            "chip": spark.createDataFrame([(a, b, day(c)) for a, b, c in CHIPS], "chip_id int, number long, implanted date"),
-            "pet": spark.createDataFrame(pets, "pet_id int, tag string, species string, breed string, name string, chip_id int, gender string, dob date, weight double, food string"),
-            "visit": spark.createDataFrame([(v, p, day(d), h, r) for v, p, d, h, r in VISITS], "visit_id int, pet_id int, day date, time string, reason string"),
+            "microchip": table(MICROCHIP, "id_microchip int, number long, implant_date string", "implant_date"),
+            "animal": table(ANIMAL, "id_animal int, species string, breed string, name string, id_microchip int, gender string, dob string, weight double, food string, hash_id string", "dob"),
+            "appointment": table(APPOINTMENT, "id_appointment int, id_animal int, date string, time string, main_reason string", "date"),
         },
     )
 
@@ -165,43 +173,43 @@ def _values(rows: list[tuple], names: str) -> str:
     return f"select * from (values {', '.join('(' + ', '.join(map(show, r)) + ')' for r in rows)}) v({names})"
 
 
-@query("worked_example_profile", "select relation, attribute, cast(dv as bigint) as dv, cast(nv as bigint) as nv, cast(ov as bigint) as ov from (" + _values([("pet", "pet_id", 7, 0, 0), ("pet", "tag", 7, 0, 0), ("pet", "chip_id", 7, 0, 0), ("pet", "species", 2, 0, 5), ("pet", "breed", 3, 0, 4), ("pet", "name", 3, 0, 4), ("pet", "gender", 2, 0, 5), ("pet", "dob", 3, 2, 2), ("pet", "weight", 6, 0, 1), ("pet", "food", 4, 0, 3), ("chip", "chip_id", 7, 0, 0), ("chip", "number", 3, 0, 4), ("chip", "implanted", 4, 0, 3), ("visit", "visit_id", 7, 0, 0), ("visit", "pet_id", 7, 0, 0), ("visit", "day", 6, 0, 1), ("visit", "time", 7, 0, 0), ("visit", "reason", 5, 0, 2)], "relation, attribute, dv, nv, ov") + ")")
+@query("worked_example_profile", "select relation, attribute, cast(dv as bigint) as dv, cast(nv as bigint) as nv, cast(ov as bigint) as ov from (" + _values([("animal", "id_animal", 7, 0, 0), ("animal", "hash_id", 7, 0, 0), ("animal", "id_microchip", 7, 0, 0), ("animal", "species", 2, 0, 5), ("animal", "breed", 3, 0, 4), ("animal", "name", 3, 0, 4), ("animal", "gender", 2, 0, 5), ("animal", "dob", 3, 2, 2), ("animal", "weight", 6, 0, 1), ("animal", "food", 4, 0, 3), ("microchip", "id_microchip", 7, 0, 0), ("microchip", "number", 3, 0, 4), ("microchip", "implant_date", 4, 0, 3), ("appointment", "id_appointment", 7, 0, 0), ("appointment", "id_animal", 7, 0, 0), ("appointment", "date", 6, 0, 1), ("appointment", "time", 7, 0, 0), ("appointment", "main_reason", 5, 0, 2)], "relation, attribute, dv, nv, ov") + ")")
 def worked_example_profile(spark: SparkSession, folder: str) -> DataFrame:
     return profile.rrp_database(clinic(spark)).drop("n")
 
 
-@query("worked_example_levels", "select relation, cast(n as bigint) as n, cast(classes as bigint) as classes, au from (" + _values([("chip", 7, 3, 0.571429), ("pet", 7, 3, 0.571429), ("visit", 7, 7, 0.0), ("(all)", 21, 13, 0.380952)], "relation, n, classes, au") + ")")
+@query("worked_example_levels", "select relation, cast(n as bigint) as n, cast(classes as bigint) as classes, au from (" + _values([("microchip", 7, 3, 0.571429), ("animal", 7, 3, 0.571429), ("appointment", 7, 7, 0.0), ("(all)", 21, 13, 0.380952)], "relation, n, classes, au") + ")")
 def worked_example_levels(spark: SparkSession, folder: str) -> DataFrame:
     return metrics.report(clinic_suppressed(spark).db).withColumn("au", F.col("au"))
 
 
-@query("worked_example_suppressed", "select cast(pet_id as int) as pet_id, tag, cast(chip_id as int) as chip_id, weight::double as weight from (" + _values([(744, "227f1df55c", 611, 27.0), (746, "4745dd610e", 613, 41.0), (747, "9d5faf7fa6", 614, 4.2), (744, "227f1df55c", 611, 25.8), (747, "9d5faf7fa6", 614, 4.1), (746, "4745dd610e", 613, 41.0), (744, "227f1df55c", 611, 26.0)], "pet_id, tag, chip_id, weight") + ")")
+@query("worked_example_suppressed", "select cast(id_animal as int) as id_animal, hash_id, cast(id_microchip as int) as id_microchip, weight::double as weight from (" + _values([(744, "227f1df55c", 611, 27.0), (746, "4745dd610e", 613, 41.0), (747, "9d5faf7fa6", 614, 4.2), (744, "227f1df55c", 611, 25.8), (747, "9d5faf7fa6", 614, 4.1), (746, "4745dd610e", 613, 41.0), (744, "227f1df55c", 611, 26.0)], "id_animal, hash_id, id_microchip, weight") + ")")
 def worked_example_suppressed(spark: SparkSession, folder: str) -> DataFrame:
-    return clinic_suppressed(spark).db.tables["pet"].select("pet_id", "tag", "chip_id", "weight")
+    return clinic_suppressed(spark).db.tables["animal"].select("id_animal", "hash_id", "id_microchip", "weight")
 
 
 @query("worked_example_stability", "select attribute, stability::double as stability, role from (" + _values([("species", 0.0, "AtbC"), ("breed", 0.0, "AtbC"), ("name", 0.0, "AtbC"), ("gender", 0.0, "AtbC"), ("dob", 0.142857, "AtbC"), ("weight", 0.428571, "AtbN"), ("food", 0.142857, "AtbN")], "attribute, stability, role") + ")")
 def worked_example_stability(spark: SparkSession, folder: str) -> DataFrame:
-    return stability.classify(stability.profile(clinic_suppressed(spark).db.tables["pet"], ["chip_id"], TRAITS), stable=["dob"])
+    return stability.classify(stability.profile(clinic_suppressed(spark).db.tables["animal"], ["id_microchip"], TRAITS), stable=["dob"])
 
 
 def clinic_clean(spark: SparkSession) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(pets, history, chips) after decomposition, conflict resolution and reduction."""
+    """(animals, history, microchips) after decomposition, conflict resolution and reduction."""
     db = clinic_suppressed(spark).db
-    _, past, _ = decompose.split(db, "pet", ["species", "breed", "name", "gender", "dob"], ["weight", "food"], ["visit.day"], carry_key=False)
-    pets = chase.resolve(db.tables["pet"].drop("weight", "food"), ["chip_id"], ["dob"], "__orig_pet_id")
-    chips = chase.resolve(db.tables["chip"], ["number"], ["implanted"], "__orig_chip_id")
+    _, past, _ = decompose.split(db, "animal", ["species", "breed", "name", "gender", "dob"], ["weight", "food"], ["appointment.date"], carry_key=False)
+    pets = chase.resolve(db.tables["animal"].drop("weight", "food"), ["id_microchip"], ["dob"], "__orig_id_animal")
+    chips = chase.resolve(db.tables["microchip"], ["number"], ["implant_date"], "__orig_id_microchip")
     return reduce.relation(pets), past, reduce.relation(chips)
 
 
-@query("worked_example_clean", "select cast(pet_id as int) as pet_id, name, cast(dob as date) as dob, tag, cast(chip_id as int) as chip_id from (" + _values([(744, "Gunter", "2014-07-15", "227f1df55c", 611), (746, "Coco", None, "4745dd610e", 613), (747, "Izzy", "2018-01-18", "9d5faf7fa6", 614)], "pet_id, name, dob, tag, chip_id") + ")")
+@query("worked_example_clean", "select cast(id_animal as int) as id_animal, name, cast(dob as date) as dob, hash_id, cast(id_microchip as int) as id_microchip from (" + _values([(744, "Gunter", "2014-07-15", "227f1df55c", 611), (746, "Coco", None, "4745dd610e", 613), (747, "Izzy", "2018-01-18", "9d5faf7fa6", 614)], "id_animal, name, dob, hash_id, id_microchip") + ")")
 def worked_example_clean(spark: SparkSession, folder: str) -> DataFrame:
-    return clinic_clean(spark)[0].select("pet_id", "name", "dob", "tag", "chip_id")
+    return clinic_clean(spark)[0].select("id_animal", "name", "dob", "hash_id", "id_microchip")
 
 
-@query("worked_example_history", "select cast(pet_id as int) as pet_id, cast(day as date) as day, weight::double as weight, food from (" + _values([(744, "2022-02-08", 27.0, "Greyh. Mix"), (746, "2022-04-20", 41.0, "H Large Dog"), (747, "2022-05-10", 4.2, "Indoor Cat"), (744, "2022-07-20", 25.8, "Urinary"), (747, "2022-07-20", 4.1, "Indoor Cat"), (744, "2022-09-09", 26.0, "Urinary")], "pet_id, day, weight, food") + ")")
+@query("worked_example_history", "select cast(id_animal as int) as id_animal, cast(date as date) as date, weight::double as weight, food from (" + _values([(744, "2022-02-08", 27.0, "Greyh. Mix"), (746, "2022-04-20", 41.0, "H Large Dog"), (747, "2022-05-10", 4.2, "Indoor Cat"), (744, "2022-07-20", 25.8, "Urinary"), (747, "2022-07-20", 4.1, "Indoor Cat"), (744, "2022-09-09", 26.0, "Urinary")], "id_animal, date, weight, food") + ")")
 def worked_example_history(spark: SparkSession, folder: str) -> DataFrame:
-    return decompose.compacted(clinic_clean(spark)[1], "pet_id", "day", ["weight", "food"]).select("pet_id", "day", "weight", "food")
+    return decompose.compacted(clinic_clean(spark)[1], "id_animal", "date", ["weight", "food"]).select("id_animal", "date", "weight", "food")
 
 
 @query("worked_example_visits", "select state, cast(entity as int) as entity, cast(n as bigint) as n_events from (" + _values([("dirty", e, 1) for e in (744, 746, 747, 749, 750, 752, 753)] + [("clean", 744, 3), ("clean", 746, 2), ("clean", 747, 2)], "state, entity, n") + ")")
@@ -209,8 +217,8 @@ def worked_example_visits(spark: SparkSession, folder: str) -> DataFrame:
     from ..operators.analytics import visits_per_entity
 
     raw, clean = clinic(spark), clinic_suppressed(spark).db
-    a = visits_per_entity(raw.tables["pet"], "pet_id", "name", raw.tables["visit"], "pet_id", "day").select(F.lit("dirty").alias("state"), "entity", "n_events")
-    b = visits_per_entity(clinic_clean(spark)[0], "pet_id", "name", clean.tables["visit"], "pet_id", "day").select(F.lit("clean").alias("state"), "entity", "n_events")
+    a = visits_per_entity(raw.tables["animal"], "id_animal", "name", raw.tables["appointment"], "id_animal", "date").select(F.lit("dirty").alias("state"), "entity", "n_events")
+    b = visits_per_entity(clinic_clean(spark)[0], "id_animal", "name", clean.tables["appointment"], "id_animal", "date").select(F.lit("clean").alias("state"), "entity", "n_events")
     return a.unionByName(b)
 
 
