@@ -35,12 +35,13 @@ def shingle_set(text: Column, width: int) -> Column:
 
 
 def minhash_pairs(df: DataFrame, sk: str, text: str, width: int = 5, similar: float = 0.8, bands: int = 32, rows: int = 2) -> DataFrame:
-    """(a, b) whose sets of word shingles have a Jaccard similarity of at least ``similar``.
+    """Links (a, b) whose closure holds all pairs with sets of word shingles of a Jaccard similarity of at least ``similar``.
 
-    Equal sets are folded first, so copies are linked to the least key only.  Signatures are cut into bands; two sets
-    that share a band are candidates, and each is confirmed on the whole sets.  A pair at the threshold is missed with
-    probability (1 - similar ** rows) ** bands: 6e-15 as it is.  Near copies that are all alike make a band's pairs
-    quadratic in their number: fold such groups by a coarser equality before.
+    Equal sets are folded first, so copies are linked to the least key only.  Signatures are cut into bands; sets that
+    share a band are candidates, and each link is confirmed on the whole sets.  A pair at the threshold is missed with
+    probability (1 - similar ** rows) ** bands: 6e-15 as it is.  First every set is compared with the least key of each
+    of its bands, which joins a group of near copies with as many comparisons as it has members.  Where a band still
+    holds several components, those outside its largest one are compared with the rest of the band.
     """
     sets = staged(df.select(F.col(sk).alias("k"), shingle_set(F.col(text), width).alias("s")).where("s is not null"))
     keyed = sets.withColumn("h", F.sha2(F.array_join(F.col("s").cast("array<string>"), ","), 256))
@@ -48,13 +49,27 @@ def minhash_pairs(df: DataFrame, sk: str, text: str, width: int = 5, similar: fl
     least = lambda i: F.array_min(F.transform("s", lambda x: F.xxhash64(x, F.lit(i))))
     keys = F.array(*(F.xxhash64(F.lit(b), *(least(b * rows + r) for r in range(rows))) for b in range(bands)))
     posted = staged(first.select("k", F.size("s").alias("n"), F.explode(keys).alias("band")))
-    a, b = posted.select("band", F.col("k").alias("a"), F.col("n").alias("na")), posted.select("band", F.col("k").alias("b"), F.col("n").alias("nb"))
-    near = a.join(b, "band").where("a < b").where((F.least("na", "nb") >= similar * F.greatest("na", "nb"))).select("a", "b").distinct()
-    both = near.join(first.select(F.col("k").alias("a"), F.col("s").alias("sa")), "a").join(first.select(F.col("k").alias("b"), F.col("s").alias("sb")), "b")
-    common = F.size(F.array_intersect("sa", "sb"))
-    alike = both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b")
+
+    def confirmed(pairs: DataFrame) -> DataFrame:
+        both = pairs.distinct().join(first.select(F.col("k").alias("a"), F.col("s").alias("sa")), "a").join(first.select(F.col("k").alias("b"), F.col("s").alias("sb")), "b")
+        common = F.size(F.array_intersect("sa", "sb"))
+        return staged(both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b"))
+
+    close = F.least("na", "nb") >= similar * F.greatest("na", "nb")
+    heads = posted.groupBy("band").agg(F.min(F.struct(F.col("k").alias("a"), F.col("n").alias("na"))).alias("head")).select("band", "head.*")
+    star = confirmed(posted.select("band", F.col("k").alias("b"), F.col("n").alias("nb")).join(heads, "band").where("a < b").where(close).select("a", "b"))
+
+    roots = connected_components(star).select(F.col("node").alias("k"), "root")
+    rooted = staged(posted.join(roots, "k", "left").withColumn("root", F.coalesce("root", "k")))
+    parts = rooted.groupBy("band", "root").agg(F.count(F.lit(1)).alias("size"))
+    open_bands = parts.groupBy("band").agg(F.count(F.lit(1)).alias("parts"), F.max_by("root", F.struct("size", "root")).alias("largest")).where("parts > 1").select("band", "largest")
+    left = staged(rooted.join(open_bands, "band"))
+    x = left.where("root <> largest").select("band", F.col("k").alias("x"), F.col("n").alias("na"), F.col("root").alias("rx"))
+    y = left.select("band", F.col("k").alias("y"), F.col("n").alias("nb"), F.col("root").alias("ry"))
+    rest = confirmed(x.join(y, "band").where("rx <> ry").where(close).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
+
     copies = keyed.select("h", F.col("k").alias("b")).join(first.select("h", F.col("k").alias("a")), "h").where("a < b").select("a", "b")
-    return alike.unionByName(copies)
+    return star.unionByName(rest).unionByName(copies)
 
 
 def classes_from_pairs(df: DataFrame, sk: str, pairs: DataFrame) -> DataFrame:
