@@ -95,3 +95,31 @@ def test_custom_state(spark, events):
     for r in got.collect():
         last[r.event_type] = min(r.rep, last.get(r.event_type, r.rep))
     assert last == {r.event_type: r[1] for r in batch.groupBy("event_type").agg(F.min("event_id")).collect()}
+
+
+def test_map_fed_batch_by_batch(spark, events, tmp_path):
+    folder, batch = events
+    written = []
+
+    def write(df, number):
+        kept = staged(df)
+        written.append((number, kept.count()))
+        return kept
+
+    kept = streams.StoredMap("event_id", ["user_id", "event_type"], write)
+    live = streams.source(spark, folder, batch.schema)
+    assert kept.sink(live, f"{tmp_path}/cp").awaitTermination(120)
+    pick = lambda m: sorted((r.sk, r.rep) for r in m.collect())
+    assert pick(kept.mapping(batch)) == pick(sk_map(batch, "event_id", ["user_id", "event_type"]))
+    known = kept.state.count()
+    kept.update(batch.limit(50), 99)  # delivered again: nothing is new
+    assert kept.state.count() == known
+    assert len({number for number, _ in written}) == len(written)
+
+
+def test_exact_profile_of_each_batch(spark, events, tmp_path):
+    folder, batch = events
+    seen = []
+    live = streams.source(spark, folder, batch.schema)
+    streams.each_batch(live, lambda b, n: seen.append(b.agg(F.countDistinct("user_id"), F.count(F.lit(1))).first()), f"{tmp_path}/cp").awaitTermination(120)
+    assert len(seen) == len(batch.inputFiles()) and sum(r[1] for r in seen) == batch.count()

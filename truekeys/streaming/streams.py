@@ -6,11 +6,13 @@ Event time arrives as a timestamp without zone, which watermarks do not take, so
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.streaming.query import StreamingQuery
 
 from ..functions.canon import fingerprint
 from ..operators.equivalence import sk_map
@@ -51,26 +53,64 @@ def joined(a: DataFrame, b: DataFrame, key: str, column: str = "ts", within: str
     return left.join(right, near)
 
 
+class Levels:
+    """Rows added batch by batch as written tables; tables of one rank are merged into one of the next.
+
+    A row is rewritten as often as the number of batches can be halved, and there are as many tables as that.
+    """
+
+    def __init__(self, write: Callable[[DataFrame, int], DataFrame], merge: Callable[[DataFrame], DataFrame], sign: int) -> None:
+        self.write, self.merge, self.sign = write, merge, sign
+        self.tables: list[tuple[int, DataFrame]] = []
+        self.written = 0
+
+    def add(self, rows: DataFrame) -> None:
+        rank = 0
+        while self.tables and self.tables[-1][0] == rank:
+            rows, rank = self.tables.pop()[1].unionByName(rows), rank + 1
+        kept = self.write(self.merge(rows) if rank else rows, self.sign * (self.written + 1))
+        self.written += 1
+        self.tables.append((rank, kept))
+
+    def all(self) -> DataFrame:
+        return reduce(DataFrame.unionByName, [x for _, x in self.tables])
+
+
 class StoredMap:
     """An incrementally kept map: the first surrogate value of a class is its representative until a smaller one comes.
 
-    State is a table of (_k, rep) written anew for each batch; revisions say which representative replaced which.
+    Each batch writes the classes that are new to it or whose representative falls, and nothing else; the stored levels
+    are merged now and then.  A batch that is delivered twice changes nothing.  Revisions say which representative
+    replaced which.  ``write`` stores a table under a number (positive: state, negative: revisions) and gives it back.
     """
 
     def __init__(self, sk: str, key: list[str], write: Callable[[DataFrame, int], DataFrame]) -> None:
-        self.sk, self.key, self.write = sk, key, write
-        self.state: DataFrame | None = None
-        self.revisions: list[DataFrame] = []
+        self.sk, self.key = sk, key
+        self._levels = Levels(write, lambda x: x.groupBy("_k").agg(F.min("rep").alias("rep")), 1)
+        self._revised = Levels(write, lambda x: x, -1)
+
+    @property
+    def state(self) -> DataFrame | None:
+        """(_k, rep) of every class seen."""
+        return self._levels.all().groupBy("_k").agg(F.min("rep").alias("rep")) if self._levels.tables else None
+
+    @property
+    def revisions(self) -> list[DataFrame]:
+        return [x for _, x in self._revised.tables]
 
-    def update(self, batch: DataFrame, number: int) -> None:
+    def update(self, batch: DataFrame, number: int | None = None) -> None:
         new = batch.groupBy(fingerprint(batch, self.key).alias("_k")).agg(F.min(self.sk).alias("rep"))
-        if self.state is None:
-            self.state = self.write(new, number)
+        if not self._levels.tables:
+            self._levels.add(new)
             return
-        old = self.state
-        both = old.withColumnRenamed("rep", "_old").join(new, "_k", "full")
-        self.revisions.append(self.write(both.where("_old > rep").select("_k", F.col("_old").alias("was"), "rep"), -1 - number))
-        self.state = self.write(both.select("_k", F.least("_old", "rep").alias("rep")), number)
+        asked = self._levels.all().join(new.select("_k"), "_k", "left_semi").groupBy("_k").agg(F.min("rep").alias("was"))
+        changed = new.join(asked, "_k", "left").where("was is null or rep < was")
+        self._revised.add(changed.where("was is not null").select("_k", "was", "rep"))
+        self._levels.add(changed.select("_k", "rep"))
+
+    def sink(self, live: DataFrame, checkpoint: str) -> StreamingQuery:
+        """Feeds the map from a stream, batch by batch, until what is available is read."""
+        return each_batch(live, self.update, checkpoint)
 
     def mapping(self, rows: DataFrame) -> DataFrame:
         """(sk, rep) of the rows under the current state."""
@@ -78,6 +118,11 @@ class StoredMap:
         return keyed.join(self.state, "_k").where("sk <> rep").select("sk", "rep").distinct()
 
 
+def each_batch(live: DataFrame, work: Callable[[DataFrame, int], None], checkpoint: str) -> StreamingQuery:
+    """Runs ``work`` on every micro-batch, where batch operators such as exact distinct counts are allowed."""
+    return live.writeStream.foreachBatch(work).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
 def batch_map(rows: DataFrame, sk: str, key: list[str]) -> DataFrame:
     return sk_map(rows, sk, key)
 
