@@ -30,43 +30,43 @@ def rows(df):
 
 def test_worked_example_classes(spark):
     db = w.clinic(spark)
-    got = {(r.rep, tuple(r.members)) for r in equivalence.classes(db.tables["chip"], "chip_id", ["number"]).collect()}
+    got = {(r.rep, tuple(r.members)) for r in equivalence.classes(db.tables["microchip"], "id_microchip", ["number"]).collect()}
     assert got == {(611, (611, 616, 620)), (613, (613, 619)), (614, (614, 617))}
-    pets = w.clinic_suppressed(spark).db.tables["pet"]
+    pets = w.clinic_suppressed(spark).db.tables["animal"]
     by_rep = {}
     for r in pets.collect():
-        by_rep.setdefault(r.pet_id, set()).add(r["__orig_pet_id"])
+        by_rep.setdefault(r.id_animal, set()).add(r["__orig_id_animal"])
     assert by_rep == {744: {744, 749, 753}, 746: {746, 752}, 747: {747, 750}}
-    assert {r.tag for r in pets.collect()} == {"227f1df55c", "4745dd610e", "9d5faf7fa6"}
+    assert {r.hash_id for r in pets.collect()} == {"227f1df55c", "4745dd610e", "9d5faf7fa6"}
 
 
 def test_worked_example_order_and_candidates(spark):
     db = w.clinic(spark)
-    assert w.clinic_suppressed(spark).order == [["chip"], ["pet"], ["visit"]]
-    assert graph.degrees(db.spec) == {"chip": (0, 1), "pet": (1, 1), "visit": (1, 0)}
-    found = profile.sk_candidates(profile.rrp(db.tables["pet"]), Relation("pet", ("pet_id",), columns=tuple(db.tables["pet"].columns)), {"chip_id"})
-    assert {(r.attribute, r.reason) for r in found.collect()} == {("pet_id", "declared key"), ("tag", "unique"), ("chip_id", "unique")}
+    assert w.clinic_suppressed(spark).order == [["microchip"], ["animal"], ["appointment"]]
+    assert graph.degrees(db.spec) == {"microchip": (0, 1), "animal": (1, 1), "appointment": (1, 0)}
+    found = profile.sk_candidates(profile.rrp(db.tables["animal"]), Relation("animal", ("id_animal",), columns=tuple(db.tables["animal"].columns)), {"id_microchip"})
+    assert {(r.attribute, r.reason) for r in found.collect()} == {("id_animal", "declared key"), ("hash_id", "unique"), ("id_microchip", "unique")}
 
 
 def test_worked_example_chips_and_history(spark):
     pets, past, chips = w.clinic_clean(spark)
-    assert {(r.chip_id, r.implanted) for r in chips.collect()} == {(611, dt.date(2015, 4, 9)), (613, dt.date(2018, 11, 18)), (614, dt.date(2018, 6, 23))}
-    assert pets.count() == 3 and past.count() == 7 and verify.is_key(past, ["pet_id", "day"])
-    chip = stability.profile(w.clinic_suppressed(spark).db.tables["chip"], ["number"], ["implanted"]).first()
+    assert {(r.id_microchip, r.implant_date) for r in chips.collect()} == {(611, dt.date(2015, 4, 9)), (613, dt.date(2018, 11, 18)), (614, dt.date(2018, 6, 23))}
+    assert pets.count() == 3 and past.count() == 7 and verify.is_key(past, ["id_animal", "date"])
+    chip = stability.profile(w.clinic_suppressed(spark).db.tables["microchip"], ["number"], ["implant_date"]).first()
     assert chip.stability == 0.142857
-    assert decompose.suggest(w.clinic_suppressed(spark).db, "pet") == ["dob", "chip.implanted", "visit.day"]
+    assert decompose.suggest(w.clinic_suppressed(spark).db, "animal") == ["dob", "microchip.implant_date", "appointment.date"]
 
 
 def test_block_order_matters(spark):
-    raw = w.clinic(spark).tables["pet"]
-    assert all(r.stability == 0 for r in stability.profile(raw, ["chip_id"], w.TRAITS).collect())
+    raw = w.clinic(spark).tables["animal"]
+    assert all(r.stability == 0 for r in stability.profile(raw, ["id_microchip"], w.TRAITS).collect())
 
 
 def test_pipeline_on_worked_example(spark):
-    decisions = ExpertDecisions(stable={"pet": ["dob"], "chip": ["implanted"]}, unstable={"pet": ["weight", "food"]}, completing={"pet": ["pet.gender", "visit.day"]} and {"pet": ["visit.day"]})
+    decisions = ExpertDecisions(stable={"animal": ["dob"], "microchip": ["implant_date"]}, unstable={"animal": ["weight", "food"]}, completing={"animal": ["appointment.date"]})
     out = pipeline.run(w.clinic(spark), ExpertDecisions.from_json(decisions.to_json()))
-    assert {n: t.count() for n, t in out.db.tables.items()} == {"chip": 3, "pet": 3, "visit": 7, "pet_history": 7}
-    assert out.roles["pet"]["dob"] == "AtbC" and set(out.seconds) == {"profiles", "suppression", "normalise and reduce"}
+    assert {n: t.count() for n, t in out.db.tables.items()} == {"microchip": 3, "animal": 3, "appointment": 7, "animal_history": 7}
+    assert out.roles["animal"]["dob"] == "AtbC" and set(out.seconds) == {"profiles", "suppression", "normalise and reduce"}
     assert {r.holds for r in verify.reencode(Database(w.CLINIC, {n: out.db.tables[n] for n in w.CLINIC.relations})).collect()} == {True}
 
 
@@ -247,10 +247,10 @@ def test_fd_theory():
 
 def test_specs_and_decisions_round_trip():
     assert DatabaseSpec.from_json(w.CLINIC.to_json()) == w.CLINIC
-    d = ExpertDecisions(sks={"pet": ["tag"]}, nks={"pet": ["chip_id"]}, interest=["pet", "chip"])
+    d = ExpertDecisions(sks={"animal": ["hash_id"]}, nks={"animal": ["id_microchip"]}, interest=["animal", "microchip"])
     bare = DatabaseSpec({n: Relation(n, r.sks[:1]) for n, r in w.CLINIC.relations.items()}, w.CLINIC.fks)
-    done = ExpertDecisions.from_json(d.to_json()).rounds(bare, [ExpertDecisions(), ExpertDecisions(nks={"chip": ["number"]})])
-    assert done.relations["pet"].sks == ("pet_id", "tag") and set(done.relations) == {"pet", "chip"} and len(done.fks) == 1
+    done = ExpertDecisions.from_json(d.to_json()).rounds(bare, [ExpertDecisions(), ExpertDecisions(nks={"microchip": ["number"]})])
+    assert done.relations["animal"].sks == ("id_animal", "hash_id") and set(done.relations) == {"animal", "microchip"} and len(done.fks) == 1
     two = DatabaseSpec({"a": Relation("a", ("x",)), "b": Relation("b")}, (ForeignKey("b", ("p", "q"), "a", ("x", "y")),))
     assert two.unary() == [("b", "p", "a", "x"), ("b", "q", "a", "y")] and two.sfks() == []
 
@@ -259,8 +259,8 @@ def test_saved_copy(spark, tmp_path):
     done = w.clinic_suppressed(spark)
     io.save(done.db, f"{tmp_path}/clean", done.maps)
     back = io.load(spark, f"{tmp_path}/clean")
-    assert rows(back.tables["pet"]) == rows(done.db.tables["pet"]) and back.spec == done.db.spec
-    assert rows(spark.read.parquet(f"{tmp_path}/clean/_maps/chip.chip_id.parquet")) == rows(done.maps["chip", "chip_id"])
+    assert rows(back.tables["animal"]) == rows(done.db.tables["animal"]) and back.spec == done.db.spec
+    assert rows(spark.read.parquet(f"{tmp_path}/clean/_maps/microchip.id_microchip.parquet")) == rows(done.maps["microchip", "id_microchip"])
     for kind in ("csv", "json", "orc"):
         n = spark.read.parquet(f"{SMALL}/nation.parquet")
         io.write(n, f"{tmp_path}/n.{kind}", kind)
@@ -270,11 +270,11 @@ def test_saved_copy(spark, tmp_path):
 
 def test_svg_and_samples(spark):
     db = w.clinic(spark)
-    shown = profile.layout(profile.rrp(db.tables["pet"]), Relation("pet", ("pet_id",), columns=tuple(db.tables["pet"].columns)), {"chip_id"}).orderBy("position").collect()
+    shown = profile.layout(profile.rrp(db.tables["animal"]), Relation("animal", ("id_animal",), columns=tuple(db.tables["animal"].columns)), {"id_microchip"}).orderBy("position").collect()
     assert [r.category for r in shown] == ["K"] + ["RA"] * 8 + ["FK"]
     svg = viz.rrp_svg([r.asDict() for r in shown], nk_line=3)
     assert svg.count("<rect") == 3 * len(shown) and svg.count("<line") == 2 and viz.rrp_svg([])
-    assert rows(review.sample(db.tables["pet"], 3, ["pet_id"])) == rows(review.sample(db.tables["pet"].repartition(3), 3, ["pet_id"]))
+    assert rows(review.sample(db.tables["animal"], 3, ["id_animal"])) == rows(review.sample(db.tables["animal"].repartition(3), 3, ["id_animal"]))
     assert review.effort(100) == (5.0, 20.0) and metrics.reduction_rate(443_119, 20_075) == 0.954696
 
 
@@ -306,6 +306,52 @@ def test_approximate_dependencies(spark):
 
 
 def test_reduction_by_key_equals_by_row(spark):
-    t = w.clinic_suppressed(spark).db.tables["chip"]
-    done = chase.resolve(t, ["number"], ["implanted"], "__orig_chip_id")
-    assert rows(reduce.relation(done)) == rows(reduce.relation(done, ("chip_id",), by_key=True))
+    t = w.clinic_suppressed(spark).db.tables["microchip"]
+    done = chase.resolve(t, ["number"], ["implant_date"], "__orig_id_microchip")
+    assert rows(reduce.relation(done)) == rows(reduce.relation(done, ("id_microchip",), by_key=True))
+
+
+def test_buckets_spare_the_shuffle(spark):
+    db = Database(STAR, {n: spark.read.parquet(f"{SMALL}/{n}.parquet") for n in ("customer", "orders")})
+    io.save_bucketed(db, "tk_saved_", {"customer": "c_custkey", "orders": "o_custkey"}, 4)
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+        both = spark.table("tk_saved_customer").join(spark.table("tk_saved_orders"), F.col("c_custkey") == F.col("o_custkey"))
+        assert both.count() == db.tables["orders"].count()
+        assert "Exchange" not in both._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+        for n in ("customer", "orders"):
+            spark.sql(f"drop table tk_saved_{n}")
+
+
+def test_links_of_similar_texts_give_the_classes_of_all_pairs(spark):
+    import random
+
+    pick = random.Random(3)
+    base = [[pick.choice("abcdefghijkl") + str(pick.randrange(40)) for _ in range(60)] for _ in range(6)]
+    texts = []
+    for k in range(150):  # near copies of six texts, changed in up to four places, and some of two halves
+        w = list(base[k % 6]) if k % 10 else base[k % 6][:30] + base[(k + 1) % 6][30:]
+        for _ in range(pick.randrange(5)):
+            w[pick.randrange(60)] = f"x{pick.randrange(50)}"
+        texts.append(" ".join(w))
+    texts += [texts[0], "", None, "one two"]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if (w := (x or "").split()) else set() for x in texts]
+    rep = list(range(len(texts)))
+    for _ in texts:
+        new = [min([rep[b] for b in range(len(texts)) if sets[a] and sets[b] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])] + [rep[a]]) for a in range(len(texts))]
+        if new == rep:
+            break
+        rep = new
+    df = spark.createDataFrame(list(enumerate(texts)), "id long, text string")
+    got = {r.sk: r.rep for r in matching.classes_from_pairs(df, "id", matching.minhash_pairs(df, "id", "text")).collect()}
+    assert got == dict(enumerate(rep)) and 1 < len({r for r in rep}) < len(texts)
+
+
+def test_collated_texts_have_no_fingerprint(spark):
+    df = spark.sql("select 'a' collate UTF8_LCASE as x, 'b' as y")
+    with pytest.raises(TypeError):
+        canon.fingerprint(df, ["x"])
+    assert canon.fingerprint(df, ["y"]) is not None

@@ -37,7 +37,8 @@ def part(c: Column, kind: T.DataType) -> Column:
     """The value as text that differs exactly where Spark's grouping tells two values of the type apart; null is 'n'.
 
     Texts are prefixed with their length in bytes, so parts can be put end to end.  Timestamps are counted in
-    microseconds, -0.0 is 0.0 at any depth, and strings and binaries are taken byte by byte.
+    microseconds, -0.0 is 0.0 at any depth, and strings and binaries are taken byte by byte; a string type of another
+    collation, in which texts of different bytes can be equal, is refused.
     """
     if isinstance(kind, T.StructType):
         own = F.when(c.isNotNull(), F.concat(F.lit("{"), *(part(c.getField(f.name), f.dataType) for f in kind.fields), F.lit("}")))
@@ -47,6 +48,8 @@ def part(c: Column, kind: T.DataType) -> Column:
         entry = lambda e: F.concat(part(e["key"], kind.keyType), part(e["value"], kind.valueType))
         own = F.concat(F.lit("<"), F.array_join(F.array_sort(F.transform(F.map_entries(c), entry)), ""), F.lit(">"))
     else:
+        if isinstance(kind, T.StringType) and kind.collation != "UTF8_BINARY":
+            raise TypeError(f"texts of collation {kind.collation} have no form by bytes; bring them to a canonical form first")
         if isinstance(kind, T.FloatType | T.DoubleType):
             c = c + F.lit(0.0).cast(kind)
         elif isinstance(kind, T.TimestampType):

@@ -84,6 +84,17 @@ def save(db: Database, folder: str, maps: dict[tuple[str, str], DataFrame] | Non
     spark.createDataFrame([(db.spec.to_json(),)], "spec string").coalesce(1).write.text(f"{folder}/_spec")
 
 
+def save_bucketed(db: Database, prefix: str, keys: dict[str, str], buckets: int) -> None:
+    """New tables in the catalog, each in buckets of one key and sorted by it, so that joins by it shuffle no side.
+
+    Relations that are to be joined need the same number of buckets; rows are dealt to them before they are written,
+    which keeps one file a bucket.
+    """
+    for n, c in keys.items():
+        dealt = db.tables[n].repartition(buckets, c)
+        dealt.write.bucketBy(buckets, c).sortBy(c).saveAsTable(prefix + n)
+
+
 def load(spark: SparkSession, folder: str) -> Database:
     text = "\n".join(r[0] for r in spark.read.text(f"{folder}/_spec", wholetext=True).collect())
     return open_database(spark, folder, DatabaseSpec.from_json(text))
