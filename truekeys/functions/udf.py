@@ -32,8 +32,35 @@ class Compacted:
             yield row["sk"], row["valid_from"], row["value"]
 
 
+@udtf(returnType=T.StructType([T.StructField("attribute", T.StringType()), T.StructField("n", T.LongType()), T.StructField("dv", T.LongType()), T.StructField("nv", T.LongType())]))
+class Profiled:
+    """Rows, distinct and null values of each attribute of a table of (attribute, value, k) that is ordered by value.
+
+    k counts equal rows folded before.  Only the last value is held; a caller may cut an attribute into parts by its
+    values and add up the results.
+    """
+
+    def __init__(self) -> None:
+        self.attribute: str | None = None
+        self.last: object = None
+        self.n = self.dv = self.nv = 0
+
+    def eval(self, row) -> None:  # noqa: ANN001
+        self.attribute, now, k = row["attribute"], row["value"], row["k"]
+        self.n += k
+        if now is None:
+            self.nv += k
+        elif now != self.last:
+            self.last, self.dv = now, self.dv + 1
+
+    def terminate(self) -> Iterator[tuple]:
+        if self.n:
+            yield self.attribute, self.n, self.dv, self.nv
+
+
 def register(spark: SparkSession) -> None:
-    """tk_canon and tk_url as SQL functions, tk_majority as an aggregate, tk_compacted as a table function."""
+    """tk_canon and tk_url as SQL functions, tk_majority as an aggregate, tk_compacted and tk_profiled as table functions."""
     spark.sql("create or replace temporary function tk_canon(s string) returns string return trim(regexp_replace(lower(s), '[^a-z0-9]+', ' '))")
     spark.udf.register("tk_majority", majority)
     spark.udtf.register("tk_compacted", Compacted)
+    spark.udtf.register("tk_profiled", Profiled)

@@ -163,6 +163,18 @@ def agg_statistics_acctbal(spark: SparkSession, folder: str) -> DataFrame:
     return t(spark, folder, "customer").groupBy("c_mktsegment").agg(F.round(F.median("c_acctbal"), 4).alias("median"), F.round(F.stddev_samp("c_acctbal"), 4).alias("deviation"), F.round(F.avg("c_acctbal"), 4).alias("mean"))
 
 
+@query("agg_percentiles_acctbal", "select c_mktsegment, round(quantile_cont(c_acctbal, 0.25), 4) as q1, round(quantile_cont(c_acctbal, 0.9), 4) as p90 from customer group by c_mktsegment")
+def agg_percentiles_acctbal(spark: SparkSession, folder: str) -> DataFrame:
+    return t(spark, folder, "customer").groupBy("c_mktsegment").agg(F.round(F.percentile("c_acctbal", F.lit(0.25)), 4).alias("q1"), F.round(F.percentile("c_acctbal", F.lit(0.9)), 4).alias("p90"))
+
+
+@query("agg_histogram_acctbal", "select cast(floor((c_acctbal + 1000) / 1000) as bigint) as bar, count(*) as n, min(c_acctbal) as low, max(c_acctbal) as high from customer where c_acctbal is not null group by all")
+def agg_histogram_acctbal(spark: SparkSession, folder: str) -> DataFrame:
+    """Bars of equal width, counted where the rows are."""
+    c = t(spark, folder, "customer").where("c_acctbal is not null")
+    return c.groupBy(F.floor((F.col("c_acctbal") + 1000) / 1000).alias("bar")).agg(F.count(F.lit(1)).alias("n"), F.min("c_acctbal").alias("low"), F.max("c_acctbal").alias("high"))
+
+
 _AU = "count(*) as n, round(1 - count(distinct text) / count(*)::double, 6) as au from documents group by"
 
 
@@ -273,6 +285,38 @@ def fn_levenshtein_brand(spark: SparkSession, folder: str) -> DataFrame:
     return b.withColumnRenamed("b", "a").join(b, F.col("a") < F.col("b")).withColumn("d", F.levenshtein("a", "b").cast("long")).where("d <= 1")
 
 
+_CODES = "translate(upper(p_name), 'AEIOUYHWBFPVCGJKQSXZDTLMNR', '00000077111122222222334556')"
+for _digit in "0123456":
+    _CODES = f"regexp_replace({_CODES}, '{_digit}+', '{_digit}', 'g')" if _digit != "0" else f"replace({_CODES}, '7', '')"
+
+
+@query("fn_soundex_part_name", f"select distinct p_name as word, left(p_name, 1).upper() || rpad(left(replace(substr({_CODES}, 2), '0', ''), 3), 3, '0') as sound from (select split_part(p_name, ' ', 1) as p_name from part) where p_name <> '' and upper(left(p_name, 1)) not in ('H', 'W')")
+def fn_soundex_part_name(spark: SparkSession, folder: str) -> DataFrame:
+    """How the first words of names sound (the oracle's rule needs a first letter that has a code)."""
+    word = F.split_part("p_name", F.lit(" "), F.lit(1))
+    w = t(spark, folder, "part").select(word.alias("word")).distinct().where("word <> '' and upper(left(word, 1)) not in ('H', 'W')")
+    return w.select("word", F.soundex("word").alias("sound"))
+
+
+@query("fn_collate_brand", "select min(b) as least, count(*) as n from (select case when p_partkey % 2 = 0 then upper(p_brand) else p_brand end as b from part) group by lower(b)")
+def fn_collate_brand(spark: SparkSession, folder: str) -> DataFrame:
+    """Brands that differ in case only are one value under a collation without case."""
+    b = F.when(F.col("p_partkey") % 2 == 0, F.upper("p_brand")).otherwise(F.col("p_brand"))
+    return t(spark, folder, "part").select(b.alias("b")).groupBy(F.collate("b", "UTF8_LCASE").alias("c")).agg(F.min("b").alias("least"), F.count(F.lit(1)).alias("n")).select("least", "n")
+
+
+@query("fn_variant_events", "select event_type, count(distinct cast(json_extract(props, '$.k') as bigint)) as dv, sum(cast(json_extract(props, '$.k') as bigint))::bigint as total from events group by event_type")
+def fn_variant_events(spark: SparkSession, folder: str) -> DataFrame:
+    k = F.try_variant_get(F.try_parse_json("props"), "$.k", "bigint")
+    return t(spark, folder, "events").groupBy("event_type").agg(F.countDistinct(k).alias("dv"), F.sum(k).alias("total"))
+
+
+@query("fn_variant_schema_events", "select event_type, 'OBJECT<k: BIGINT>' as shape from events group by event_type")
+def fn_variant_schema_events(spark: SparkSession, folder: str) -> DataFrame:
+    """The schema that all values of an attribute share, found by an aggregate over all rows."""
+    return t(spark, folder, "events").groupBy("event_type").agg(F.schema_of_variant_agg(F.try_parse_json("props")).alias("shape"))
+
+
 @query("fn_parse_dates", "select o_orderkey, cast(o_orderdate as date) as day from orders")
 def fn_parse_dates(spark: SparkSession, folder: str) -> DataFrame:
     """Dates written in three ways are read back to the same day."""
@@ -319,6 +363,17 @@ def udtf_history(spark: SparkSession, folder: str) -> DataFrame:
     return spark.sql("select * from tk_compacted(table(tk_versions) partition by sk order by valid_from)")
 
 
+@query("udtf_profile_orders", " union all ".join(f"select '{c}' as attribute, count(*) as n, count(distinct {c}) as dv, count(*) - count({c}) as nv from orders" for c in COLUMNS["orders"]))
+def udtf_profile_orders(spark: SparkSession, folder: str) -> DataFrame:
+    """Profiles by a table function: equal values are folded first, and each attribute is cut into parts by its values."""
+    udf.register(spark)
+    names = list(COLUMNS["orders"])
+    long = t(spark, folder, "orders").select(*(F.col(c).cast("string").alias(c) for c in names)).unpivot([], names, "attribute", "value")
+    long.groupBy("attribute", "value").agg(F.count(F.lit(1)).alias("k")).withColumn("part", F.pmod(F.xxhash64("value"), F.lit(64))).createOrReplaceTempView("tk_values")
+    parts = spark.sql("select * from tk_profiled(table(tk_values) partition by (attribute, part) order by value)")
+    return parts.groupBy("attribute").agg(*(F.sum(c).alias(c) for c in ("n", "dv", "nv")))
+
+
 @query("sql_udf_canon", "select p_partkey, trim(regexp_replace(lower(p_name), '[^a-z0-9]+', ' ', 'g')) as name from part")
 def sql_udf_canon(spark: SparkSession, folder: str) -> DataFrame:
     udf.register(spark)
