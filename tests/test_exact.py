@@ -166,3 +166,21 @@ def test_a_repeat_in_few_rows_refutes_and_its_absence_does_not(spark):
     assert not repeats(("k",)) and repeats(("half",)) and repeats(("odd",)) and not repeats(("half", "odd"))
     assert baselines.uccs(df) == [("k",), ("half", "odd")]
     assert baselines.uccs(df.limit(0)) == [("k",), ("half",), ("odd",)]
+
+
+def test_large_tables_give_the_same_keys_by_slices_and_rows_that_agree(spark, monkeypatch):
+    rng = random.Random(5)
+    names = list("abcdef")
+    rows = [(i // 2, rng.choice([None, *range(40)]), rng.choice([0.0, -0.0, 1.0, float("nan"), None]), rng.randrange(30), i % 2, rng.randrange(12)) for i in range(400)]
+    rows += [(rows[7][0], *rows[8][1:])]  # one repeat that hardly any slice holds
+    df = spark.createDataFrame(rows, "a int, b int, c double, d int, e int, f int")
+    few, grouped = baselines.few_codes, []
+    monkeypatch.setattr(baselines, "few_codes", lambda df, columns: few(df, columns, 3))
+    agree = baselines.LargeTable._rows_that_agree
+    monkeypatch.setattr(baselines.LargeTable, "_rows_that_agree", lambda self, names: grouped.append(names) or agree(self, names))
+    value = lambda v: "nan" if v != v else v
+    plain = [tuple(value(v) for v in r) for r in rows]
+    unique = [c for k in range(1, 7) for c in combinations(range(6), k) if len({tuple(r[i] for i in c) for r in plain}) == len(rows)]
+    minimal = {"".join(names[i] for i in c) for c in unique if not any(set(u) < set(c) for u in unique)}
+    assert {"".join(c) for c in baselines.uccs(df, rows=100)} == minimal
+    assert grouped and {"".join(c) for c in baselines.uccs(df)} == minimal
