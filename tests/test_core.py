@@ -311,6 +311,11 @@ def test_reduction_by_key_equals_by_row(spark):
     assert rows(reduce.relation(done)) == rows(reduce.relation(done, ("id_microchip",), by_key=True))
 
 
+def test_reduction_by_key_keeps_rows_that_differ(spark):
+    d = spark.createDataFrame([(1, "en", 3), (1, "de", 3), (1, "en", 3), (None, None, 4), (None, "fr", 4), (2, None, None)], "doc_id int, lang string, n_chars int")
+    assert rows(reduce.relation(d, ("doc_id",), by_key=True)) == rows(d.distinct()) and d.distinct().count() == 5
+
+
 def test_buckets_spare_the_shuffle(spark):
     db = Database(STAR, {n: spark.read.parquet(f"{SMALL}/{n}.parquet") for n in ("customer", "orders")})
     io.save_bucketed(db, "tk_saved_", {"customer": "c_custkey", "orders": "o_custkey"}, 4)
